@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from entitygraph.llm.suffix_dedup import _binary
 
-Q, SEGMENT, RATE = 8, 64, 0.1
+Q, SEGMENT, RATE = 8, 64, 0.08
 #: Benchmark bytes that go to every worker at once; more are searched for in turns.
 TURN_BYTES = 8_000_000
 SLICE = 1 << 20
@@ -109,32 +109,42 @@ class Segments:
         diagonal = at - starts[text] - self.place[which] + SEGMENT  # never negative
         wide = self.edits[segment] + 1
         band = diagonal // wide
-        key = np.concatenate([band, np.maximum(band - 1, 0)])
-        twice = np.concatenate([np.ones(len(band), bool), band > 0])
-        key, t, s = key[twice], np.tile(text, 2)[twice], np.tile(segment, 2)[twice]
-        order = np.lexsort((key, s, t))
-        key, t, s = key[order], t[order], s[order]
-        fresh = np.flatnonzero(np.append(True, (key[1:] != key[:-1]) | (t[1:] != t[:-1]) | (s[1:] != s[:-1])))
-        hits = np.diff(np.append(fresh, len(key)))
-        enough = hits >= self.bound[s[fresh]]
-        t, s, key = t[fresh][enough], s[fresh][enough], key[fresh][enough]
-        return t, s, key * (self.edits[s] + 1) - SEGMENT
-
-    def aligned(self, data: np.ndarray, low: int, high: int, segment: int, diagonal: int) -> int:
-        """Least edits between the segment and any substring of data[low:high] whose alignment stays near the band."""
-        piece, e = self.texts[segment], int(self.edits[segment])
-        width = 4 * (e + 1) + 1
-        first = diagonal - (e + 1)
-        big = len(piece) + 1
-        row = np.zeros(width, np.int64)  # row i, column k: text position low + first + i + k
-        steps = np.arange(width)
-        for i, c in enumerate(piece):
-            at = low + first + i + steps
-            inside = (at >= low) & (at < high)
-            same = np.where(inside, data[np.clip(at, 0, len(data) - 1)] == c, False)
-            best = np.minimum(row + np.where(inside, ~same, big), np.append(row[1:], big) + 1)
-            row = np.minimum.accumulate(best - steps) + steps
-        return int(row.min())
+        bands = int(band.max()) + 2
+        key = (text * len(self.texts) + segment) * bands + band + 1
+        key, hits = np.unique(np.concatenate([key, key - 1]), return_counts=True)
+        pair, band = np.divmod(key, bands)
+        t, s = np.divmod(pair, len(self.texts))
+        enough = hits >= self.bound[s]
+        t, s, band = t[enough], s[enough], band[enough]
+        return t, s, (band - 1) * (self.edits[s] + 1) - SEGMENT
+
+    def aligned(self, data: np.ndarray, low: np.ndarray, high: np.ndarray, segment: np.ndarray, diagonal: np.ndarray) -> np.ndarray:
+        """Of each region, the least edits between its segment and any substring of data[low:high] whose alignment stays near
+        the band. All regions advance together, one segment byte at a time."""
+        out = np.empty(len(segment), np.int64)
+        for at in range(0, len(segment), 4096):
+            out[at : at + 4096] = self._aligned(data, *(x[at : at + 4096] for x in (low, high, segment, diagonal)))
+        return out
+
+    def _aligned(self, data, low, high, segment, diagonal):
+        width = 4 * (int(self.edits.max()) + 1) + 1
+        size = self.sizes[segment]
+        pieces = np.zeros((len(segment), int(size.max())), np.uint8)
+        for k, s in enumerate(segment):
+            pieces[k, : size[k]] = self.texts[s]
+        big, steps = SEGMENT + 1, np.arange(width)
+        first = (low + diagonal - self.edits[segment] - 1)[:, None] + steps
+        row = np.zeros((len(segment), width), np.int64)  # after i bytes, column k: text position first + i + k
+        for i in range(pieces.shape[1]):
+            at = first + i
+            inside = (at >= low[:, None]) & (at < high[:, None])
+            same = inside & (data[np.minimum(np.maximum(at, 0), len(data) - 1)] == pieces[:, i, None])
+            shifted = np.full_like(row, big)
+            shifted[:, :-1] = row[:, 1:]
+            best = np.minimum(row + np.where(inside, ~same, big), shifted + 1)
+            best = np.minimum.accumulate(best - steps, axis=1) + steps
+            row = np.where((size > i)[:, None], best, row)
+        return row.min(axis=1)
 
 
 def _search(items: list[tuple[int, str]]):
@@ -150,16 +160,15 @@ def _search(items: list[tuple[int, str]]):
                 padded = [np.append(t, np.zeros(Q, np.uint8)) for t in texts]
                 joined = np.concatenate(padded)
                 starts = np.append(0, np.cumsum([len(t) for t in padded]))
-                done: set[tuple[int, int]] = set()
-                for t, s, d in zip(*(x.tolist() for x in segments.regions(joined, starts[:-1])), strict=True):
-                    item = int(segments.owner[s])
-                    if (t, item) not in done and segments.aligned(joined, int(starts[t]), int(starts[t + 1]) - Q, s, d) <= segments.edits[s]:
-                        done.add((t, item))
-                        out.append((ids[row + t], item))
+                t, s, d = segments.regions(joined, starts[:-1])
+                if len(t):
+                    good = segments.aligned(joined, starts[t], starts[t + 1] - Q, s, d) <= segments.edits[s]
+                    hits = np.unique(np.column_stack([ids[row + t[good]], segments.owner[s[good]]]), axis=0)
+                    out.append(hits)
                 row = last
             if out:
-                doc, item = zip(*out, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(item, pa.int64())], ["doc_id", "item_id"])
+                doc, item = np.concatenate(out).astype(np.int64).T
+                yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(item)], ["doc_id", "item_id"])
 
     return run
 
