@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -29,4 +30,18 @@ def materialise(df: DataFrame, name: str, compression: str = "snappy") -> DataFr
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    kept = spark.read.schema(df.schema).parquet(path)
+    kept._materialised = path
+    return kept
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes what ``materialise`` wrote, once all that reads it is written itself."""
+    path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._materialised)
+    path.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark's cleaner delete the shuffle files of finished steps now instead of at its next half-hourly collection."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
