@@ -6,7 +6,7 @@ with equal bytes hold a cover position at the same shift: the property that a di
 suffixes that start with the same cover gram form one suffix bucket. The windows that share a cover position form a run; the
 hash of a run's bytes is its rank within the bucket. Runs of equal rank tie over their whole length, so one comparison of
 ranks settles all their windows and only the first of each rank stays. Buckets with more than one rank are the long ties
-that the ranks leave open: the first run of each rank is refined, window by window. Memory is bounded by one slice of
+that the ranks leave open: the first run of each rank is refined, in blocks of windows and then window by window. Memory is bounded by one slice of
 ``SLICE`` bytes; buckets are Spark groups with map-side combination and a splittable join, so a bucket may hold any share of
 the corpus.
 
@@ -22,10 +22,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entitygraph.shared import materialise
+from entitygraph.shared import discard, materialise, release
 
 GRAM = 24
 SLICE = 1 << 19
+#: Windows that are settled together where a run is open.
+BLOCK = 8
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
 
@@ -87,9 +89,9 @@ def pieces(offsets: np.ndarray, length: int) -> Iterator[tuple[int, int, np.ndar
 
 
 def cover_runs(data: np.ndarray, starts: np.ndarray, length: int):
-    """(bucket, rank, text index, first window, number of windows) of every run of windows with one cover position.
+    """(bucket, rank, text index, first window, number of windows, shift to the cover position) of every run of windows with one cover position.
     starts: where the texts of the slice begin, ascending."""
-    none = (np.empty(0, np.int64),) * 5
+    none = (np.empty(0, np.int64),) * 6
     width = length - GRAM + 1
     if len(data) < length:
         return none
@@ -124,7 +126,7 @@ def cover_runs(data: np.ndarray, starts: np.ndarray, length: int):
     size = stop - first + length - 1
     at = cover[first]
     rank = mixed((sums[first + size] - sums[first]) * p.down[first] + (at - first).astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D) + size.astype(np.uint64))
-    return h[at].view(np.int64), rank.view(np.int64), text, first, stop - first
+    return h[at].view(np.int64), rank.view(np.int64), text, first, stop - first, at - first
 
 
 def _binary(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -143,74 +145,109 @@ def _runs(length: int):
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             offsets, data = _binary(batch.column(1))
             for lo, hi, rows, starts, shift in pieces(offsets, length):
-                bucket, rank, text, first, n = cover_runs(data[lo:hi], starts, length)
+                bucket, rank, text, first, n, at = cover_runs(data[lo:hi], starts, length)
                 if len(first):
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(bucket), pa.array(rank), pa.array(ids[rows[text]]), pa.array(first - starts[text] + shift[text]), pa.array(n.astype(np.int32))],
-                        ["bucket", "rank", "doc_id", "lo", "n"],
+                        [pa.array(bucket), pa.array(rank), pa.array(ids[rows[text]]), pa.array(first - starts[text] + shift[text]), pa.array(n.astype(np.int32)), pa.array(at.astype(np.int32))],
+                        ["bucket", "rank", "doc_id", "lo", "n", "at"],
                     )
 
     return run
 
 
-def _windows(length: int):
-    """The windows of the asked runs of each text."""
+def _blocks(length: int):
+    """The asked runs of each text in blocks of up to BLOCK windows at the same shifts from the cover position. A block's bucket is the part that all
+    its possible windows share, its rank the part that its own windows cover together; it carries the hash of each window."""
+    core = length - BLOCK + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             offsets, data = _binary(batch.column(1))
             asked = batch.column(2)
+            held, size = [], 0
             for i in range(len(ids)):
                 if not asked[i].is_valid:
                     continue
                 runs = asked.slice(i, 1).flatten()
-                lo, n, bucket = (runs.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(3))
+                lo, n, at, bucket = (runs.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(4))
                 order = np.argsort(lo)
-                lo, n, bucket = lo[order], n[order], bucket[order]
+                lo, n, at, bucket = lo[order], n[order], at[order], bucket[order]
                 text = data[offsets[i] : offsets[i + 1]]
                 k = 0
                 while k < len(lo):  # runs within SLICE bytes at a time
                     last = max(k + 1, int(np.searchsorted(lo, lo[k] + SLICE, "right")))
                     base = int(lo[k])
                     sums, p = prefix_sums(text[base : int((lo[k:last] + n[k:last]).max()) + length - 1])
-                    each = np.repeat(lo[k:last] - base - np.append(0, np.cumsum(n[k:last])[:-1]), n[k:last])
-                    start = each + np.arange(len(each))
+                    count = n[k:last]
+                    which = np.repeat(np.arange(k, last), count)
+                    start = lo[which] - base + np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count)
                     h = mixed((sums[start + length] - sums[start]) * p.down[start])
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.repeat(bucket[k:last], n[k:last])), pa.array(h.view(np.int64)), pa.array(np.full(len(h), ids[i])), pa.array(start + base)],
-                        ["bucket", "window", "doc_id", "lo"],
-                    )
+                    group = (lo[which] + at[which] - base - start) // BLOCK  # by shift: how far the window starts before the cover position
+                    fresh = np.append(True, (which[1:] != which[:-1]) | (group[1:] != group[:-1]))
+                    first = np.flatnonzero(fresh)
+                    own, g, begin = which[first], group[first], start[first]
+                    number = np.diff(np.append(first, len(start)))
+                    middle = lo[own] + at[own] - base - BLOCK * g  # where the last possible window of the block starts
+                    inner = mixed((sums[middle + core] - sums[middle]) * p.down[middle] + g.astype(np.uint64) * np.uint64(0x9FB21C651E98DF25))
+                    outer = mixed((sums[begin + number + length - 1] - sums[begin]) * p.down[begin] + (middle - begin).astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D) + number.astype(np.uint64))
+                    held.append((inner ^ bucket[own].view(np.uint64), outer, np.full(len(own), ids[i]), begin + base, number, h))
+                    size += len(start)
                     k = last
+                    if size > 200_000:
+                        yield _block_batch(held)
+                        held, size = [], 0
+            if held:
+                yield _block_batch(held)
 
     return run
 
 
-def repeated_windows(texts: DataFrame, length: int = 100) -> DataFrame:
-    """(doc_id, lo, n): runs of n windows of ``length`` bytes, from byte lo on, that occur with an earlier start as well.
-    texts: doc_id, binary text."""
-    runs = texts.mapInArrow(_runs(length), "bucket long, rank long, doc_id long, lo long, n int")
-    often = runs.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
-    tied = materialise(runs.join(often, "bucket"), "tied-runs")
+def _block_batch(held: list[tuple]) -> pa.RecordBatch:
+    bucket, rank, doc, lo, n, h = (np.concatenate(x) for x in zip(*held, strict=True))
+    windows = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(n)).astype(np.int32)), pa.array(h.view(np.int64)))
+    return pa.RecordBatch.from_arrays(
+        [pa.array(bucket.view(np.int64)), pa.array(rank.view(np.int64)), pa.array(doc), pa.array(lo), pa.array(n.astype(np.int32)), windows],
+        ["bucket", "rank", "doc_id", "lo", "n", "inner"],
+    )
+
+
+def _settle(units: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+    """Of units in buckets: the windows of those that are not the first of their rank, and the first of each rank in buckets of several."""
+    often = units.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
+    tied = materialise(units.join(often, "bucket"), f"{name}-tied")
+    release(units.sparkSession)
+    extra = [c for c in ("at", "inner") if c in units.columns]
     ranked = materialise(
-        tied.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo", "n")).alias("first"), F.count("*").alias("c")), "ranks"
+        tied.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo", "n", *extra)).alias("first"), F.count("*").alias("c")), f"{name}-ranks"
     )
     again = ranked.where("c > 1").select("bucket", "rank", F.col("first.doc_id").alias("d"), F.col("first.lo").alias("l"))
-    settled = tied.join(again, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n")
-    open_buckets = ranked.groupBy("bucket").agg(F.count("*").alias("ranks")).where("ranks > 1").select("bucket")
-    asked = (
-        ranked.join(open_buckets, "bucket")
-        .groupBy(F.col("first.doc_id").alias("doc_id"))
-        .agg(F.collect_list(F.struct(F.col("first.lo").alias("lo"), F.col("first.n").alias("n"), "bucket")).alias("asked"))
-    )
-    windows = materialise(
-        texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_windows(length), "bucket long, window long, doc_id long, lo long"),
-        "windows",
-    )
-    firsts = windows.groupBy("bucket", "window").agg(F.min(F.struct("doc_id", "lo")).alias("f"), F.count("*").alias("c")).where("c > 1")
-    firsts = firsts.select("bucket", "window", F.col("f.doc_id").alias("d"), F.col("f.lo").alias("l"))
-    refined = windows.join(firsts, ["bucket", "window"]).where("doc_id != d or lo != l").select("doc_id", "lo", F.lit(1).alias("n"))
-    return settled.unionByName(refined)
+    settled = materialise(tied.select("bucket", "rank", "doc_id", "lo", "n").join(again, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n"), f"{name}-settled")
+    several = ranked.groupBy("bucket").agg(F.count("*").alias("ranks")).where("ranks > 1").select("bucket")
+    left = materialise(ranked.join(several, "bucket").select("bucket", "first.*"), f"{name}-open")
+    discard(tied)
+    discard(ranked)
+    release(units.sparkSession)
+    return settled, left
+
+
+def repeated_windows(texts: DataFrame, length: int = 100) -> DataFrame:
+    """(doc_id, lo, n): runs of n windows of ``length`` bytes, from byte lo on, that occur with an earlier start as well.
+    texts: doc_id, binary text. Ties are settled for whole runs, then for blocks of the open ones, then for the windows of the open blocks."""
+    runs = texts.mapInArrow(_runs(length), "bucket long, rank long, doc_id long, lo long, n int, at int")
+    settled, left = _settle(runs, "runs")
+    asked = left.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "at", "bucket")).alias("asked"))
+    kind = "bucket long, rank long, doc_id long, lo long, n int, inner array<long>"
+    blocks = materialise(texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_blocks(length), kind), "blocks")
+    release(texts.sparkSession)
+    in_blocks, open_blocks = _settle(blocks, "blocks")
+    discard(blocks)
+    windows = open_blocks.select("bucket", "doc_id", "lo", F.posexplode("inner").alias("k", "rank")).select("bucket", "rank", "doc_id", (F.col("lo") + F.col("k")).alias("lo"), F.lit(1).alias("n"))
+    firsts = windows.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo")).alias("f"), F.count("*").alias("c")).where("c > 1")
+    firsts = firsts.select("bucket", "rank", F.col("f.doc_id").alias("d"), F.col("f.lo").alias("l"))
+    single = materialise(windows.join(firsts, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n"), "windows-settled")
+    release(texts.sparkSession)
+    return settled.union(in_blocks).union(single)
 
 
 def covered(lo: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
