@@ -157,7 +157,7 @@ def _runs(length: int):
 
 def _blocks(length: int):
     """The asked runs of each text in blocks of up to BLOCK windows at the same shifts from the cover position. A block's bucket is the part that all
-    its possible windows share, its rank the part that its own windows cover together; it carries the hash of each window."""
+    its possible windows share, its rank the part that its own windows cover together."""
     core = length - BLOCK + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -182,7 +182,6 @@ def _blocks(length: int):
                     count = n[k:last]
                     which = np.repeat(np.arange(k, last), count)
                     start = lo[which] - base + np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count)
-                    h = mixed((sums[start + length] - sums[start]) * p.down[start])
                     group = (lo[which] + at[which] - base - start) // BLOCK  # by shift: how far the window starts before the cover position
                     fresh = np.append(True, (which[1:] != which[:-1]) | (group[1:] != group[:-1]))
                     first = np.flatnonzero(fresh)
@@ -191,7 +190,7 @@ def _blocks(length: int):
                     middle = lo[own] + at[own] - base - BLOCK * g  # where the last possible window of the block starts
                     inner = mixed((sums[middle + core] - sums[middle]) * p.down[middle] + g.astype(np.uint64) * np.uint64(0x9FB21C651E98DF25))
                     outer = mixed((sums[begin + number + length - 1] - sums[begin]) * p.down[begin] + (middle - begin).astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D) + number.astype(np.uint64))
-                    held.append((inner ^ bucket[own].view(np.uint64), outer, np.full(len(own), ids[i]), begin + base, number, h))
+                    held.append((inner ^ bucket[own].view(np.uint64), outer, np.full(len(own), ids[i]), begin + base, number))
                     size += len(start)
                     k = last
                     if size > 200_000:
@@ -204,20 +203,50 @@ def _blocks(length: int):
 
 
 def _block_batch(held: list[tuple]) -> pa.RecordBatch:
-    bucket, rank, doc, lo, n, h = (np.concatenate(x) for x in zip(*held, strict=True))
-    windows = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(n)).astype(np.int32)), pa.array(h.view(np.int64)))
+    bucket, rank, doc, lo, n = (np.concatenate(x) for x in zip(*held, strict=True))
     return pa.RecordBatch.from_arrays(
-        [pa.array(bucket.view(np.int64)), pa.array(rank.view(np.int64)), pa.array(doc), pa.array(lo), pa.array(n.astype(np.int32)), windows],
-        ["bucket", "rank", "doc_id", "lo", "n", "inner"],
+        [pa.array(bucket.view(np.int64)), pa.array(rank.view(np.int64)), pa.array(doc), pa.array(lo), pa.array(n.astype(np.int32))], ["bucket", "rank", "doc_id", "lo", "n"]
     )
 
 
+def _windows(length: int):
+    """The windows of the asked blocks of each text, each with its hash as rank."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(0).to_numpy(zero_copy_only=False)
+            offsets, data = _binary(batch.column(1))
+            asked = batch.column(2)
+            for i in range(len(ids)):
+                if not asked[i].is_valid:
+                    continue
+                blocks = asked.slice(i, 1).flatten()
+                lo, n, bucket = (blocks.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(3))
+                order = np.argsort(lo)
+                lo, n, bucket = lo[order], n[order], bucket[order]
+                text = data[offsets[i] : offsets[i + 1]]
+                k = 0
+                while k < len(lo):
+                    last = max(k + 1, int(np.searchsorted(lo, lo[k] + SLICE, "right")))
+                    base, count = int(lo[k]), n[k:last]
+                    sums, p = prefix_sums(text[base : int((lo[k:last] + count).max()) + length - 1])
+                    start = np.repeat(lo[k:last] - base - np.cumsum(count) + count, count) + np.arange(count.sum())
+                    h = mixed((sums[start + length] - sums[start]) * p.down[start])
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(np.repeat(bucket[k:last], count)), pa.array(h.view(np.int64)), pa.array(np.full(len(h), ids[i])), pa.array(start + base)],
+                        ["bucket", "rank", "doc_id", "lo"],
+                    )
+                    k = last
+
+    return run
+
+
 def _settle(units: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
     """Of units in buckets: the windows of those that are not the first of their rank, and the first of each rank in buckets of several."""
     often = units.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
     tied = materialise(units.join(often, "bucket"), f"{name}-tied")
     release(units.sparkSession)
-    extra = [c for c in ("at", "inner") if c in units.columns]
+    extra = ["at"] if "at" in units.columns else []
     ranked = materialise(
         tied.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo", "n", *extra)).alias("first"), F.count("*").alias("c")), f"{name}-ranks"
     )
@@ -237,12 +266,17 @@ def repeated_windows(texts: DataFrame, length: int = 100) -> DataFrame:
     runs = texts.mapInArrow(_runs(length), "bucket long, rank long, doc_id long, lo long, n int, at int")
     settled, left = _settle(runs, "runs")
     asked = left.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "at", "bucket")).alias("asked"))
-    kind = "bucket long, rank long, doc_id long, lo long, n int, inner array<long>"
+    kind = "bucket long, rank long, doc_id long, lo long, n int"
     blocks = materialise(texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_blocks(length), kind), "blocks")
+    discard(left)
     release(texts.sparkSession)
     in_blocks, open_blocks = _settle(blocks, "blocks")
     discard(blocks)
-    windows = open_blocks.select("bucket", "doc_id", "lo", F.posexplode("inner").alias("k", "rank")).select("bucket", "rank", "doc_id", (F.col("lo") + F.col("k")).alias("lo"), F.lit(1).alias("n"))
+    asked = open_blocks.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "bucket")).alias("asked"))
+    kind = "bucket long, rank long, doc_id long, lo long"
+    windows = materialise(texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_windows(length), kind), "windows")
+    windows = windows.withColumn("n", F.lit(1))
+    release(texts.sparkSession)
     firsts = windows.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo")).alias("f"), F.count("*").alias("c")).where("c > 1")
     firsts = firsts.select("bucket", "rank", F.col("f.doc_id").alias("d"), F.col("f.lo").alias("l"))
     single = materialise(windows.join(firsts, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n"), "windows-settled")
