@@ -51,7 +51,7 @@ def references_sql(sample: Sample) -> str:
     if sample.kind == "business":
         base = f"""SELECT s_suppkey AS k, s_nationkey AS nation, s_suppkey AS hh,
             upper(p_name) || ' ' || upper(replace(p_brand, '#', '')) AS given, {word_sql('97 * s_suppkey % 8000', 3)} AS family
-            FROM supplier JOIN part ON p_partkey = 7 * s_suppkey % (SELECT count(*) FROM part)"""
+            FROM (SELECT s.*, n_parts FROM supplier s CROSS JOIN (SELECT count(*) AS n_parts FROM part) q) t JOIN part ON p_partkey = 7 * s_suppkey % n_parts"""
     else:
         base = f"""SELECT c_custkey AS k, c_nationkey AS nation, {_div('c_custkey', 2)} AS hh,
             {word_sql('13 * (31 * c_custkey + 7) % 400', 2)} AS given, {word_sql('(7577 * c_custkey + 3) % 8000', 3)} AS family
