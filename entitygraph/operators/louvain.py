@@ -25,6 +25,8 @@ class RefineConfig:
     resolution: float = 1.0
     seed: int = 0
     local_edge_cap: int = 2_000_000
+    max_levels: int = 10
+    max_passes: int = 12
 
 
 def _order(seed: int, node: str) -> tuple[str, str]:
@@ -141,7 +143,7 @@ def refine_local(edges: DataFrame, cfg: RefineConfig = RefineConfig(), all_level
     return dealt.groupBy("bucket").applyInPandas(run, "component_id string, record_id string, community string, level int, m double")
 
 
-def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig(), max_levels: int = 10, max_passes: int = 12) -> DataFrame:
+def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig()) -> DataFrame:
     """The same search with nodes moving in parallel: in each pass the nodes of one hash parity move, of two communities that would swap
     only toward the lesser, and a pass that lowers a component's modularity is taken back. component_id, record_id, community, level, m."""
     if not cfg.weighted:
@@ -150,11 +152,11 @@ def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig(), max
     names = materialise(degrees(graph).select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
     best = _quality(graph, names, cfg)
     level = 0
-    for _ in range(max_levels):
+    for _ in range(cfg.max_levels):
         nodes = materialise(degrees(graph), "nodes")
         assign = materialise(nodes.select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
         score, idle = _quality(graph, assign, cfg), 0
-        for step in range(max_passes):
+        for step in range(cfg.max_passes):
             moved = materialise(_one_pass(graph, nodes, assign, cfg, step), "assign")
             new = _quality(graph, moved, cfg)
             worse = new.select("component_id", F.col("m").alias("new")).join(score.select("component_id", "m"), "component_id").where("new <= m + 1e-9").select("component_id", F.lit(True).alias("worse"))

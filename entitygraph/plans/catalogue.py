@@ -210,7 +210,7 @@ def _(spark, sf):
 
 @query("k7_lsh_pairs")
 def _(spark, sf):
-    return bl.lsh_pairs(_tokens(spark, sf)[0])
+    return bl.lsh_pairs(bl.cut_stop_tokens(*_tokens(spark, sf)))
 
 
 @query(
@@ -257,7 +257,7 @@ for _m, _sql in {
     "m5_idf_cosine",
     _with(
         _REFS, _TOK, "wt AS (SELECT DISTINCT record_id, token, ln(1000.0 / df) AS w FROM tok JOIN freq USING (token)), nm AS (SELECT record_id, sqrt(sum(w * w)) AS n FROM wt GROUP BY record_id)",
-        select="""SELECT a, b, CAST(round(sum(x.w * y.w) / (max(p.n) * max(q.n)), 5) AS DOUBLE) AS score FROM pairs JOIN wt x ON x.record_id = a JOIN wt y ON y.record_id = b AND y.token = x.token
+        select="""SELECT a, b, CAST(round(round(sum(x.w * y.w) / (max(p.n) * max(q.n)), 6), 5) AS DOUBLE) AS score FROM pairs JOIN wt x ON x.record_id = a JOIN wt y ON y.record_id = b AND y.token = x.token
         JOIN nm p ON p.record_id = a JOIN nm q ON q.record_id = b GROUP BY a, b""",
     ),
 )
@@ -437,7 +437,7 @@ for _n, _cfg in {
     "c8_first_gain": ResolveConfig(mu=MU, refine=RefineConfig(move="first_gain")),
     "c8_one_pass": ResolveConfig(mu=MU, refine=RefineConfig(passes="one")),
     "c8_unweighted": ResolveConfig(mu=MU, refine=RefineConfig(weighted=False)),
-    "c10_distributed": ResolveConfig(mu=0.5, refine=RefineConfig(local_edge_cap=30)),
+    "c10_distributed": ResolveConfig(mu=0.5, refine=RefineConfig(local_edge_cap=30, max_levels=2, max_passes=2)),
     "c14_modularity_only": ResolveConfig(mu=MU, clusterer="modularity"),
     "w12_above_mu": ResolveConfig(mu=MU, refine_edges="above_mu"),
     "w12_strict_bounds": ResolveConfig(mu=MU, bounds="strict"),
