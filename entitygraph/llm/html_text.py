@@ -174,7 +174,7 @@ def main_text(html: str | None, path: str | None = None) -> str:
     for p in (tuple(path.split(">")) if path else None, best[0] if best else None):
         if p is not None and (text := " ".join(b.text for b in blocks if not b.noise and b.path[: len(p)] == p)):
             return text
-    return ""
+    return "" if best else " ".join(b.text for b in blocks if not b.noise)  # text outside any container
 
 
 def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -211,7 +211,7 @@ def extract_pages(pages: DataFrame, host_rows: int = HOST_ROWS) -> DataFrame:
     paths = materialise(host_paths(parsed), "host-paths")
     paths = F.broadcast(paths) if paths.count() <= host_rows else paths
     read = parsed.join(paths, "host", "left").select("page_id", "url", "own", "runs", _within("path").alias("text"))
-    read = read.withColumn("text", F.when(F.coalesce("text", F.lit("")) != "", F.col("text")).otherwise(F.coalesce(_within("own"), F.lit(""))))
+    read = read.withColumn("text", F.when(F.coalesce("text", F.lit("")) != "", F.col("text")).otherwise(F.coalesce(_within("own"), F.array_join(F.transform("runs", lambda r: r["text"]), " "), F.lit(""))))
     return read.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 

@@ -71,7 +71,7 @@ def bit_planes(marks: np.ndarray) -> np.ndarray:
     columns = -(-len(marks) // 64) * 64
     bits = np.zeros((columns, BITS), np.uint8)
     bits[: len(marks)] = np.unpackbits(marks.view(np.uint8), bitorder="little").reshape(-1, BITS)
-    return np.packbits(bits.T, axis=1, bitorder="little").view(np.uint64)
+    return np.ascontiguousarray(np.packbits(bits.T, axis=1, bitorder="little")).view(np.uint64)
 
 
 def within(planes: np.ndarray, queries: np.ndarray, radius: int) -> np.ndarray:
