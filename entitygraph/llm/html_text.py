@@ -211,7 +211,9 @@ def extract_pages(pages: DataFrame, host_rows: int = HOST_ROWS) -> DataFrame:
     paths = materialise(host_paths(parsed), "host-paths")
     paths = F.broadcast(paths) if paths.count() <= host_rows else paths
     read = parsed.join(paths, "host", "left").select("page_id", "url", "own", "runs", _within("path").alias("text"))
-    read = read.withColumn("text", F.when(F.coalesce("text", F.lit("")) != "", F.col("text")).otherwise(F.coalesce(_within("own"), F.array_join(F.transform("runs", lambda r: r["text"]), " "), F.lit(""))))
+    loose = F.array_join(F.transform("runs", lambda r: r["text"]), " ")  # text outside any container
+    fallback = F.when(F.col("own").isNull(), loose).otherwise(_within("own"))
+    read = read.withColumn("text", F.when(F.coalesce("text", F.lit("")) != "", F.col("text")).otherwise(F.coalesce(fallback, F.lit(""))))
     return read.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 
