@@ -15,8 +15,8 @@ import regex
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 #: Texts of about so many bytes are looked up together.
 BLOCK = 4_000_000
-#: Words kept per worker; beyond it the dictionary starts anew.
-KEPT = 400_000
+#: Words, and parts of words, kept per worker; beyond it a dictionary starts anew.
+KEPT, PARTS = 500_000, 1_000_000
 
 
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
@@ -48,44 +48,53 @@ class WordEncoder:
         self.ends = np.zeros(self.size, bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
         self.split = regex.compile(WORDS).findall
-        self.plain = regex.compile(r"[\x21-\x7e¡-įı-ɏ]*").fullmatch
+        latin = regex.compile(r"[\x21-\x7e¡-įı-ɏ]*").fullmatch
+        self.plain = lambda w: w.isascii() and w.isprintable() or latin(w)
+        self.known: dict[str, bytes] = {}  # ids as 32-bit numbers
         self.clear()
 
     def clear(self) -> None:
         self.words: dict[str, int] = {}
-        self.known: dict[str, np.ndarray] = {}
         self.pool = np.empty(1 << 20, np.uint32)
         self.starts = np.zeros(1, np.int64)
 
+    def _whole(self, word: str) -> bytes:
+        return np.array(self.whole.encode(word, add_special_tokens=False).ids, np.uint32).tobytes()
+
     def _parts(self, lists: list[list[str]]) -> None:
-        new = [p for p in dict.fromkeys(chain.from_iterable(lists)) if p not in self.known]
-        for at in range(0, len(new), 5000):
-            some = new[at : at + 5000]
+        known = self.known
+        if len(known) > PARTS:
+            known.clear()
+        new = [p for p in dict.fromkeys(chain.from_iterable(lists)) if p not in known]
+        for at in range(0, len(new), 20_000):
+            some = new[at : at + 20_000]
             ids = np.array(self.parts.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, np.uint32)
-            cuts = np.flatnonzero(self.ends[ids]) + 1
+            cuts = ((np.flatnonzero(self.ends[ids]) + 1) * 4).tolist()
             if len(cuts) != len(some):  # an unknown character, say: one at a time
-                for p in some:
-                    self.known[p] = np.array(self.whole.encode(p, add_special_tokens=False).ids, np.uint32)
+                known.update((p, self._whole(p)) for p in some)
             else:
-                self.known.update(zip(some, np.split(ids, cuts[:-1]), strict=True))
+                raw = ids.tobytes()
+                known.update(zip(some, [raw[x:y] for x, y in zip([0, *cuts[:-1]], cuts, strict=True)], strict=True))
 
     def _learn(self, new: list[str]) -> None:
-        easy = [w for w in new if self.plain(w) and "<|" not in w]
-        lists = [self.split(w.lower()) for w in easy]
+        plain, split = self.plain, self.split
+        easy = [w for w in new if "<|" not in w and plain(w)]
+        lists = [split(w.lower()) for w in easy]
         self._parts(lists)
-        found = {w: [self.known[p] for p in ps] for w, ps in zip(easy, lists, strict=True)}
-        for w in new:
-            if w not in found:
-                found[w] = [np.array(self.whole.encode(w, add_special_tokens=False).ids, np.uint32)]
-        sizes = [sum(map(len, found[w])) for w in new]
+        get = self.known.__getitem__
+        found = [get(ps[0]) if len(ps) == 1 else b"".join(map(get, ps)) for ps in lists]
+        if len(easy) < len(new):
+            kept = set(easy)
+            hard = [w for w in new if w not in kept]
+            easy, found = easy + hard, found + list(map(self._whole, hard))
+        sizes = np.fromiter(map(len, found), np.int64, len(found)) // 4
         at = int(self.starts[-1])
-        self.starts = np.concatenate([self.starts, at + np.cumsum(sizes, dtype=np.int64)])
+        self.starts = np.concatenate([self.starts, at + np.cumsum(sizes)])
         while len(self.pool) < self.starts[-1]:
             self.pool = np.concatenate([self.pool, np.empty_like(self.pool)])
-        flat = [a for w in new for a in found[w]]
-        self.pool[at : self.starts[-1]] = np.concatenate(flat) if flat else []
-        for w in new:
-            self.words[w] = len(self.words)
+        self.pool[at : self.starts[-1]] = np.frombuffer(b"".join(found), np.uint32)
+        first = len(self.words)
+        self.words.update(zip(easy, range(first, first + len(easy)), strict=True))
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(offsets, ids): the ids of text i are ids[offsets[i]:offsets[i + 1]]."""
@@ -101,7 +110,10 @@ class WordEncoder:
         which = index[coded.indices.to_numpy()] if len(unique) else np.empty(0, np.int64)
         start, size = self.starts[which], self.starts[which + 1] - self.starts[which]
         before = np.append(0, np.cumsum(size))
-        ids = self.pool[np.repeat(start - before[:-1], size) + np.arange(before[-1])]
+        kind = np.int32 if max(before[-1], len(self.pool)) < 1 << 31 else np.int64
+        at = np.repeat((start - before[:-1]).astype(kind), size)
+        at += np.arange(before[-1], dtype=kind)
+        ids = self.pool.take(at)
         return before[borders - borders[0]], ids
 
 
