@@ -213,11 +213,5 @@ def simhash_components(docs: DataFrame, size: int = 3, radius: int = 2, id_col:
     return marked.join(named, "mark").select("doc_id", F.lpad(F.lower(F.hex("mark")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def drop_near_copies(docs: DataFrame, size: int = 5, radius: int = 2) -> DataFrame:
-    """Of each group of linked documents the one with the least doc_id stays; shingles of five words. All other columns stay."""
-    leads = simhash_components(docs, size, radius).where("doc_id = component_id").select(F.col("doc_id").alias("_lead"))
-    return docs.join(leads, docs["doc_id"] == leads["_lead"], "left_semi")
-
-
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
