@@ -104,6 +104,8 @@ class ToxicityModel:
         return float(np.clip(sum(strong) if strong else max(logs), -5, 60))
 
     def probability(self, evidence: np.ndarray) -> np.ndarray:
+        if self.base == -np.inf:  # no labels
+            return np.zeros(len(evidence))
         return 1 / (1 + np.exp(-np.clip(self.slope * evidence + self.base, -30, 30)))
 
 
@@ -158,7 +160,8 @@ def _logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, divisor: int = 4, left_out: int = 2, label: str = "toxic") -> ToxicityModel:
-    """Fits on a bounded sample of labelled rows; with none, or one class only, nothing is a passage and every score is one half."""
+    """Fits on a bounded sample of labelled rows. Where no token stands out or one class is missing, nothing is a passage and every score is the smoothed share
+    of the toxic, or 0 without any labels."""
     sample = materialise(labelled_sample(docs, labels, label, divisor, left_out, most), "sample")
     model = ToxicityModel(token_scores(sample))
 
@@ -177,6 +180,8 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, div
     rows = sample.mapInArrow(run, "y int, n long, tops array<double>, hits array<double>").collect() if model.table else []
     others = [r for r in rows if not r["y"]]
     if not others or len(others) == len(rows):
+        bad, n = sample.agg(F.sum((F.col("y") > 0).cast("int")), F.count("*")).first()
+        model.table, model.base = {}, float(np.log((bad + 1) / (n - bad + 1))) if n else -np.inf
         return model
     tokens = sum(r["n"] for r in others)
     values, times = np.unique(np.round(np.concatenate([np.array(r["hits"] or [], float) for r in others] + [np.empty(0)]), 3), return_counts=True)
@@ -198,7 +203,8 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, div
 
 
 def toxicity_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
-    """(doc_id, score, passages): the whole text of every row; passages are the significant segments (first word, end, score). Nulls are empty texts."""
+    """(doc_id, score, leaning, passages): the whole text of every row; leaning is whether any segment of it leans to the toxic, passages are the significant ones
+    (first word, end, score). Nulls are empty texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
@@ -207,20 +213,25 @@ def toxicity_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
                 found = model.passages(block.column(1))
                 score = model.probability(np.array([model.evidence(*x) for x in found]))
                 spans = [[{"start": a, "end": b, "score": v} for a, b, v in model.significant(*x)] for x in found]
-                yield pa.RecordBatch.from_arrays([block.column(0), pa.array(score), pa.array(spans, kind)], ["doc_id", "score", "passages"])
+                yield pa.RecordBatch.from_arrays([block.column(0), pa.array(score), pa.array([bool(x[1]) for x in found], pa.bool_()), pa.array(spans, kind)], ["doc_id", "score", "leaning", "passages"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).mapInArrow(
-        run, "doc_id long, score double, passages array<struct<start:long,end:long,score:double>>"
+        run, "doc_id long, score double, leaning boolean, passages array<struct<start:long,end:long,score:double>>"
     )
 
 
+def rejected(threshold: float = 0.3):
+    """Scores at the threshold or above; a text without a segment that leans to the toxic stays, however large the share of the toxic."""
+    return F.col("leaning") & (F.col("score") >= threshold)
+
+
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """The documents under the threshold, with all their columns."""
-    bad = toxicity_scores(docs, fit_toxicity(docs, labels)).where(F.col("score") >= threshold).select(F.col("doc_id").alias("_bad")).distinct()
+    """The documents that are not rejected, with all their columns."""
+    bad = toxicity_scores(docs, fit_toxicity(docs, labels)).where(rejected(threshold)).select(F.col("doc_id").alias("_bad")).distinct()
     return docs.join(bad, docs["doc_id"] == bad["_bad"], "left_anti")
 
 
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
     scored = toxicity_scores(docs, fit_toxicity(docs, labels))
-    return scored.select("doc_id", (fold(4) == 2).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+    return scored.select("doc_id", (fold(4) == 2).alias("held_out"), "score", rejected().cast("int").alias("predicted"))

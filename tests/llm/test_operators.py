@@ -118,6 +118,18 @@ def test_classifiers_on_odd_tables(spark):
         assert toxicity.toxicity_scores(docs, toxicity.fit_toxicity(docs, labels)).count() == len(texts)
 
 
+def test_nothing_learnt_rejects_nothing(spark):
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(DOCS), spark.read.parquet(f"{d}/labels.parquet")
+    clean = labels.where("toxic = 0").select("doc_id")
+    assert toxicity.drop_toxic(docs, labels).join(clean, "doc_id").count() == docs.join(clean, "doc_id").count() > 0
+    assert all(r["predicted"] == 0 for r in toxicity.op6_toxicity(spark, d).join(clean, "doc_id").collect())
+    for some, share in ((labels.limit(0), 0), (labels.where("toxic = 0"), None), (labels.where("toxic = 1"), None)):
+        assert toxicity.drop_toxic(docs, some).count() == docs.count()
+        scores = {r["score"] for r in toxicity.toxicity_scores(docs, toxicity.fit_toxicity(docs, some)).collect()}
+        assert len(scores) == 1 and (share is None or scores == {share})
+
+
 def test_segments_against_brute_force():
     r = np.random.default_rng(0)
     for _ in range(50):
