@@ -297,15 +297,22 @@ _COPURCHASE = """bought AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem
 scored AS (SELECT lpad(CAST(x.l_partkey AS VARCHAR), 12, '0') AS a, lpad(CAST(y.l_partkey AS VARCHAR), 12, '0') AS b, CAST(count(*) AS DOUBLE) AS score FROM bought x JOIN bought y USING (l_orderkey) WHERE x.l_partkey < y.l_partkey GROUP BY ALL)"""
 
 
-def _copurchase(spark, sf):
-    """Parts of one order, from a slice of the orders: a graph with hubs, given by parts, whose components are far from records."""
-    bought = spark.read.parquet(f"{sf}/lineitem.parquet").where("l_orderkey % 40 = 1 and l_partkey % 7 < 3").select("l_orderkey", F.lpad(F.col("l_partkey").cast("string"), 12, "0").alias("p")).distinct()
+def _copurchase(spark, sf, only="true"):
+    """Parts of one order, weighted by the orders that hold both: a graph with hubs, given by parts, whose components are far from records."""
+    bought = spark.read.parquet(f"{sf}/lineitem.parquet").where(only).where("l_orderkey is not null and l_partkey is not null").select("l_orderkey", F.lpad(F.col("l_partkey").cast("string"), 12, "0").alias("p")).distinct()
     left, right = bought.withColumnRenamed("p", "a"), bought.withColumnRenamed("p", "b")
     return left.join(right, "l_orderkey").where("a < b").groupBy("a", "b").agg(F.count("*").cast("double").alias("score"))
 
 
 @query("w9_copurchase_components", _with(_COPURCHASE, "refs AS (SELECT DISTINCT a AS record_id FROM scored)", _closure(0.0), select="SELECT component_id, record_id FROM comp"))
 def _(spark, sf):
+    """The slice of the orders that the recursive SQL can follow; the whole graph is w9_copurchase_whole."""
+    return cl.closure(_copurchase(spark, sf, "l_orderkey % 40 = 1 and l_partkey % 7 < 3"), 0.0)
+
+
+@query("w9_copurchase_whole")
+def _(spark, sf):
+    """All orders and parts, which make one giant component; no SQL twin, as recursion holds a row for each pair that is reached."""
     return cl.closure(_copurchase(spark, sf), 0.0)
 
 

@@ -118,3 +118,25 @@ def test_empty_token_lists_score_nothing(spark):
 
     df = spark.createDataFrame([([], ["A"]), (["A"], ["A"])], "a array<string>, b array<string>")
     assert [r[0] for r in df.select(scoring_matrix(F.col("a"), F.col("b"))).collect()] == [0.0, 1.0]
+
+
+def test_copurchase_graph_is_whole(spark):
+    from entitygraph.plans.catalogue import QUERIES
+
+    sf = "/root/testdata/sf0.001"
+    orders = {}
+    for r in spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey", "l_partkey").collect():
+        orders.setdefault(r[0], set()).add(f"{r[1]:012d}")
+    parent = {p: p for o in orders.values() if len(o) > 1 for p in o}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for o in orders.values():
+        for p in o if len(o) > 1 else ():
+            x, y = sorted((root(p), root(min(o))))
+            parent[y] = x
+    got = {r["record_id"]: r["component_id"] for r in QUERIES["w9_copurchase_whole"](spark, sf).collect()}
+    assert got == {p: root(p) for p in parent}
