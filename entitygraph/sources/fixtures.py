@@ -16,7 +16,7 @@ class Sample:
     name: str
     quality: str
     layout: str
-    rows: int
+    rows: int | None
     kind: str = "person"
     seed: int = 0
 
@@ -33,6 +33,9 @@ SAMPLES = {
     )
 }
 
+#: All customers and all their copies.
+WHOLE = Sample("whole", "poor", "standard", None)
+
 
 def _div(a: str, b: int) -> str:
     return f"CAST(floor(({a}) / {b}) AS BIGINT)"
@@ -45,9 +48,10 @@ def word_sql(x: str, n: int) -> str:
 
 
 def references_sql(sample: Sample) -> str:
-    """record_id, truth_id, body of a sample: entities, their copies, damaged fields, one of four layouts, the first rows by record_id."""
+    """record_id, truth_id, body of a sample: entities, their copies, damaged fields, one of four layouts, the first rows by record_id (all where rows is None)."""
     rate = RATES[sample.quality]
     hit = lambda p: f"((1009 * (k + 1) + 9176 * (j + 1) + {31337 * p + 65537 * sample.seed}) * 48271 % 2147483647) % 100 < {rate}"
+    last = "" if sample.rows is None else f"\n    ORDER BY record_id LIMIT {sample.rows}"
     if sample.kind == "business":
         base = f"""SELECT s_suppkey AS k, s_nationkey AS nation, s_suppkey AS hh,
             upper(p_name) || ' ' || upper(replace(p_brand, '#', '')) AS given, {word_sql('97 * s_suppkey % 8000', 3)} AS family
@@ -90,8 +94,7 @@ def references_sql(sample: Sample) -> str:
                 CAST(200 + 7 * k % 800 AS VARCHAR(4)) || CAST(200 + 11 * k % 800 AS VARCHAR(4)) || CAST(1000 + 4801 * k % 9000 AS VARCHAR(5)) AS phone
             FROM ({base}) b JOIN (SELECT 0 AS j UNION ALL SELECT 1 UNION ALL SELECT 2 UNION ALL SELECT 3 UNION ALL SELECT 4) c ON j < 1 + 7919 * k % 5
         ) x
-    ) y
-    ORDER BY record_id LIMIT {sample.rows}"""
+    ) y{last}"""
 
 
 def duckdb_references(sample: Sample) -> str:

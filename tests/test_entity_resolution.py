@@ -140,3 +140,14 @@ def test_copurchase_graph_is_whole(spark):
             parent[y] = x
     got = {r["record_id"]: r["component_id"] for r in QUERIES["w9_copurchase_whole"](spark, sf).collect()}
     assert got == {p: root(p) for p in parent}
+
+
+def test_operators_take_all_references(spark):
+    from entitygraph.plans.catalogue import QUERIES
+
+    sf = "/root/testdata/sf0.01"
+    copies = sum(1 + 7919 * r[0] % 5 for r in spark.read.parquet(f"{sf}/customer.parquet").select("c_custkey").collect())
+    assert copies > 1000 and QUERIES["p0_references_whole"](spark, sf).distinct().count() == copies
+    report = QUERIES["k6_blocking_report_whole"](spark, sf).first()
+    assert report["reduction_ratio"] == pytest.approx(1 - report["n_pairs"] / (copies * (copies - 1) / 2), abs=1e-6)
+    assert QUERIES["p0_references"](spark, sf).count() == 1000
