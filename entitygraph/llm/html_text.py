@@ -3,7 +3,7 @@
 A tolerant parser gives each page's text blocks with the path of their containers. Every page scores its containers: the text they hold outside links and
 boilerplate, for the deepest container that holds most of it. Pages vote for the path of their best container, generalised to
 tags and classes without numbers; Spark sums the votes of a host. Each page is then read again through its host's winning path, and where that path
-holds no text, through its own best container."""
+does not hold most of the page's own best container, through the latter."""
 
 from __future__ import annotations
 
@@ -38,11 +38,15 @@ NOISE = frozenset(
     "sidebar signup social sponsor sponsored subscribe subscription toolbar widget widgets complementary contentinfo search feedback gdpr discussion".split()
 )
 HOST_ROWS = 200_000
+#: Share of a page's own best container that its host's path must hold to be taken.
+MOST = 0.8
 _token = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:(?:\"[^\"]*\"|'[^']*')[^>\"']*)*)(?:>|\Z)", re.S)
-_marks = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
-_hidden = re.compile(r"\bhidden\b(?!\s*=\s*[\"']?false)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
+_attributes = re.compile(r"([^\s\"'>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+_unseen = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))\s*(?:!\s*important\s*)?(?=;|$)", re.I)
+#: Classes of the common style sheets that take an element off the page.
+UNSEEN = frozenset("hidden d-none is-hidden visually-hidden sr-only".split())
 _raw_end = {t: re.compile(rf"</{t}\s*>", re.I) for t in RAW}
-_words = re.compile(r"[a-z]+")
+_number = re.compile(r"[-_]*[0-9]+$")
 
 
 def host_of(url: str | None) -> str:
@@ -52,16 +56,23 @@ def host_of(url: str | None) -> str:
 
 def _label(tag: str, attributes: str) -> tuple[str, bool]:
     """The element's place in a generalised path, and whether it is boilerplate by its marks."""
-    if not attributes or "=" not in attributes and "hidden" not in attributes:
+    if not attributes:
         return tag, False
     name, noise = tag, False
-    for kind, *values in _marks.findall(attributes):
-        value = "".join(values).lower()
-        words = set(_words.findall(value))
-        noise |= bool(words & NOISE)
-        if kind.lower() == "class":
-            name = f"{tag}.{'.'.join(sorted(set(re.sub(r'[0-9]+', '', value).split())))}"
-    return name, noise or bool(_hidden.search(attributes))
+    for kind, *values in _attributes.findall(attributes):
+        kind, value = kind.lower(), unescape("".join(values)).lower()
+        if kind in ("class", "id", "role"):
+            marks = value.split()
+            noise |= any(_number.sub("", m) in NOISE or kind == "class" and m in UNSEEN for m in marks)
+            if kind == "class":
+                name = f"{tag}.{'.'.join(sorted(set(re.sub(r'[0-9]+', '', value).split())))}"
+        elif kind == "hidden":  # a boolean: any value hides
+            noise = True
+        elif kind == "aria-hidden":
+            noise |= value.strip() == "true"
+        elif kind == "style":
+            noise |= bool(_unseen.search(value))
+    return name, noise
 
 
 class Block:
@@ -151,7 +162,7 @@ def blocks_of(html: str) -> list[Block]:
 
 def best_container(blocks: list[Block]) -> tuple[tuple[str, ...], int] | None:
     """The deepest container that holds at least four fifths of the page's text outside links and boilerplate, and how much it holds.
-    A container that is named an article or main needs half."""
+    A container that is named an article or main needs half. While text that is neither boilerplate nor mostly links lies beside it in its parent, the parent takes its place."""
     held: dict[tuple[str, ...], int] = defaultdict(int)
     total = 0
     for b in blocks:
@@ -164,6 +175,9 @@ def best_container(blocks: list[Block]) -> tuple[tuple[str, ...], int] | None:
     if not enough:
         return None
     best = max(enough, key=lambda p: (p[-1].split(".")[0] in ("article", "main"), len(p), p))
+    beside = [b.path for b in blocks if not b.noise and len(b.text) > 2 * b.linked and b.path[: len(best)] != best]
+    while any(p[: len(best)] != best and p[: len(best) - 1] == best[:-1] for p in beside) and len(best) > 1:
+        best = best[:-1]
     return best, max(held[best], 1)
 
 
@@ -171,10 +185,16 @@ def main_text(html: str | None, path: str | None = None) -> str:
     """One page's text within the path, or within its own best container."""
     blocks = [b for b in blocks_of(html or "")]
     best = best_container(blocks)
-    for p in (tuple(path.split(">")) if path else None, best[0] if best else None):
-        if p is not None and (text := " ".join(b.text for b in blocks if not b.noise and b.path[: len(p)] == p)):
-            return text
-    return "" if best else " ".join(b.text for b in blocks if not b.noise)  # text outside any container
+    within = lambda p: " ".join(b.text for b in blocks if not b.noise and b.path[: len(p)] == p)
+    host = tuple(path.split(">")) if path else None
+    if best:
+        own = within(best[0])
+        if host and (best[0][: len(host)] == host or host[: len(best[0])] == best[0] and len(within(host)) >= MOST * len(own)):
+            return within(host)
+        return own
+    if host and within(host):
+        return within(host)
+    return " ".join(b.text for b in blocks if not b.noise)  # text outside any container
 
 
 def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -202,6 +222,11 @@ def _within(path: str):
     return F.array_join(F.transform(chosen, lambda r: r["text"]), " ")
 
 
+def _loose():
+    """Text outside any container."""
+    return F.array_join(F.transform("runs", lambda r: r["text"]), " ")
+
+
 def extract_pages(pages: DataFrame, host_rows: int = HOST_ROWS) -> DataFrame:
     """page_id, url, text, n_chars of every page. Null and empty html give empty texts; pages without a host share one; the whole html is read, once;
     other columns are ignored. Host paths are broadcast up to ``host_rows`` rows and joined by shuffling beyond."""
@@ -210,10 +235,12 @@ def extract_pages(pages: DataFrame, host_rows: int = HOST_ROWS) -> DataFrame:
     parsed = materialise(own.mapInArrow(_parse, kind), "parsed", "zstd")
     paths = materialise(host_paths(parsed), "host-paths")
     paths = F.broadcast(paths) if paths.count() <= host_rows else paths
-    read = parsed.join(paths, "host", "left").select("page_id", "url", "own", "runs", _within("path").alias("text"))
-    loose = F.array_join(F.transform("runs", lambda r: r["text"]), " ")  # text outside any container
-    fallback = F.when(F.col("own").isNull(), loose).otherwise(_within("own"))
-    read = read.withColumn("text", F.when(F.coalesce("text", F.lit("")) != "", F.col("text")).otherwise(F.coalesce(fallback, F.lit(""))))
+    read = parsed.join(paths, "host", "left").select("page_id", "url", "own", "path", _within("path").alias("common"), _within("own").alias("text"), _loose().alias("loose"))
+    inside = lambda a, b: (F.col(a) == F.col(b)) | F.startswith(F.col(a), F.concat(F.col(b), F.lit(">")))
+    whole = inside("own", "path") | (inside("path", "own") & (F.length("common") >= MOST * F.length("text")))
+    shared = F.when(F.coalesce("common", F.lit("")) != "", F.col("common")).otherwise(F.col("loose"))
+    text = F.when(F.col("own").isNull(), shared).when(whole, F.col("common")).otherwise(F.col("text"))
+    read = read.select("page_id", "url", F.coalesce(text, F.lit("")).alias("text"))
     return read.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 

@@ -274,6 +274,34 @@ def test_html(spark):
     assert got == {0: "A & B First boldly said. Next Second é one two", 1: "", 2: "", 3: "plain text <only", 4: "x"}
 
 
+LONG = "Long text of the body of the page, word after word after word. " * 5
+
+
+@pytest.mark.parametrize(
+    ("html", "want"),
+    [
+        ('<body><div style="overflow:hidden" class="overflow-hidden content has-sidebar"><p>One</p></div></body>', "One"),
+        ('<body><article><div class="entry-header"><h1>Title</h1></div><p>One</p></article></body>', "Title One"),
+        (f'<body><div class="page"><div class="lead">Lead</div><div class="body">{LONG}</div></div></body>', f"Lead {LONG.strip()}"),
+        (f"<body><main><h1>Title</h1><article>{LONG}</article></main></body>", f"Title {LONG.strip()}"),
+        ('<body><div>One<div style="color:red; display: none">x</div><p hidden>y</p><p aria-hidden="true">z</p><div style="visibility:hidden">v</div><div class="sidebar-2 wide">s</div></div></body>', "One"),
+    ],
+)
+def test_main_text_is_whole(spark, html, want):
+    assert html_text.main_text(html) == want
+    rows = spark.createDataFrame([(1, "http://a/", html)], "page_id long, url string, html string")
+    assert html_text.extract_pages(rows).first()["text"] == want
+
+
+def test_host_path_must_hold_most_of_a_page(spark):
+    usual = f'<body><div class="page"><div class="post">{LONG}</div></div></body>'
+    odd = f'<body><div class="page"><div class="post">Stub</div><div class="story">{LONG}</div></div></body>'
+    rows = spark.createDataFrame([(i, "http://a/", odd if i == 5 else usual) for i in range(6)], "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in html_text.extract_pages(rows).collect()}
+    assert got == {i: LONG.strip() for i in range(5)} | {5: f"Stub {LONG.strip()}"}
+    assert html_text.main_text(odd, "body>div.page>div.post") == got[5]
+
+
 def test_pipeline_stages_keep_columns(spark, tmp_path):
     import corpus_pipeline
 
