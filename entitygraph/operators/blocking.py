@@ -62,14 +62,18 @@ def blocking_report(blocked: DataFrame, pairs: DataFrame, n_records: int, truth:
 
 
 def lsh_pairs(tokens: DataFrame, bands: int = 16, rows: int = 3, largest: int = 200) -> DataFrame:
-    """Pairs that share a band of minimum token hashes; a bucket above ``largest`` is an error, as its pairs grow with its square."""
+    """Pairs that share a band of minimum token hashes. A bucket above ``largest`` is cut into parts of that size; each two parts meet in a row of their own, so that all its pairs are made, a bounded number a row."""
     hashes = [F.min(F.xxhash64("token", F.lit(i))).alias(f"h{i}") for i in range(bands * rows)]
     marks = tokens.groupBy("record_id").agg(*hashes)
     keys = F.array(*[F.struct(F.lit(b).alias("band"), F.xxhash64(*[F.col(f"h{b * rows + r}") for r in range(rows)]).alias("key")) for b in range(bands)])
     grouped = marks.select("record_id", F.explode(keys).alias("k")).groupBy("k.band", "k.key").agg(F.array_sort(F.collect_set("record_id")).alias("members"))
     sized = grouped.withColumn("size", F.size("members")).where("size > 1")
-    checked = sized.withColumn("members", F.when(F.col("size") > largest, F.raise_error(F.lit("a bucket exceeds the limit; add rows to a band"))).otherwise(F.col("members")))
-    return candidate_pairs(checked)
+    last = F.floor((F.col("size") - 1) / largest).cast("int")
+    cells = sized.withColumn("last", last).withColumn("i", F.explode(F.sequence(F.lit(0), "last"))).withColumn("j", F.explode(F.sequence("i", "last")))
+    part = lambda n: F.slice("members", F.col(n) * largest + 1, largest)
+    cells = cells.select(part("i").alias("x"), part("j").alias("y"))  # sorted: x comes before y, or is y
+    pairs = F.flatten(F.transform("x", lambda a: F.transform(F.filter("y", lambda b: a < b), lambda b: F.struct(a.alias("a"), b.alias("b")))))
+    return cells.repartition(F.xxhash64("x", "y")).select(F.explode(pairs).alias("p")).groupBy("p.a", "p.b").agg(F.count("*").alias("shared"))
 
 
 def random_blocks(records: DataFrame, n_blocks: int, seed: int = 0) -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import count
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -17,7 +18,8 @@ from entitygraph.shared import materialise
 @dataclass(frozen=True)
 class RefineConfig:
     """move: 'best' takes the community with the largest gain, 'first_gain' the first neighbour (by weight) with a positive one. passes: 'one' a level, or
-    'until_stable'. A component of more than ``local_edge_cap`` edges is refined by the distributed form."""
+    'until_stable'. A component of more than ``local_edge_cap`` edges is refined by the distributed form, which stops when neither parity gains, or sooner at
+    ``max_levels`` and ``max_passes`` where they are given."""
 
     move: str = "best"
     passes: str = "until_stable"
@@ -25,8 +27,8 @@ class RefineConfig:
     resolution: float = 1.0
     seed: int = 0
     local_edge_cap: int = 2_000_000
-    max_levels: int = 10
-    max_passes: int = 12
+    max_levels: int | None = None
+    max_passes: int | None = None
 
 
 def _order(seed: int, node: str) -> tuple[str, str]:
@@ -152,11 +154,11 @@ def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig()) ->
     names = materialise(degrees(graph).select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
     best = _quality(graph, names, cfg)
     level = 0
-    for _ in range(cfg.max_levels):
+    for _ in count() if cfg.max_levels is None else range(cfg.max_levels):
         nodes = materialise(degrees(graph), "nodes")
         assign = materialise(nodes.select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
         score, idle = _quality(graph, assign, cfg), 0
-        for step in range(cfg.max_passes):
+        for step in count() if cfg.max_passes is None else range(cfg.max_passes):
             moved = materialise(_one_pass(graph, nodes, assign, cfg, step), "assign")
             new = _quality(graph, moved, cfg)
             worse = new.select("component_id", F.col("m").alias("new")).join(score.select("component_id", "m"), "component_id").where("new <= m + 1e-9").select("component_id", F.lit(True).alias("worse"))

@@ -151,3 +151,21 @@ def test_operators_take_all_references(spark):
     report = QUERIES["k6_blocking_report_whole"](spark, sf).first()
     assert report["reduction_ratio"] == pytest.approx(1 - report["n_pairs"] / (copies * (copies - 1) / 2), abs=1e-6)
     assert QUERIES["p0_references"](spark, sf).count() == 1000
+
+
+def test_lsh_makes_all_pairs_of_a_large_bucket(spark):
+    from entitygraph.operators.blocking import lsh_pairs
+
+    tokens = spark.createDataFrame([(f"{i:03d}", t) for i in range(23) for t in ("A", "B")] + [("x", "C")], "record_id string, token string")
+    got = {(r["a"], r["b"]): r["shared"] for r in lsh_pairs(tokens, largest=5).collect()}
+    assert got == {(f"{i:03d}", f"{j:03d}"): 16 for i in range(23) for j in range(i + 1, 23)}
+
+
+def test_distributed_search_goes_on_until_stable(spark):
+    from entitygraph.operators.louvain import refine_distributed
+
+    edges = [(f"{i:02d}", f"{i + 1:02d}", 1.0) for i in range(31)]
+    graph = spark.createDataFrame([("c", *e) for e in edges], "component_id string, u string, v string, w double")
+    found = refine_distributed(graph).collect()
+    assert found[0]["m"] == pytest.approx(modularity(edges, {r["record_id"]: r["community"] for r in found}))
+    assert found[0]["m"] >= louvain(edges)[-1][1] - 0.05
