@@ -1,8 +1,8 @@
 """Packing along a space-filling curve: neighbours in content become neighbours in a sequence, with no padding at all.
 
 A document's ids are hashed to a vector of ``HASHED`` log counts, projected to ``DIMS`` dimensions by a fixed random matrix, and placed
-on a Hilbert curve of ``LEVELS`` bits a dimension. Documents are range-sorted by their key and laid end to end, cut every ``size`` ids. What is
-left at the end of a range is cut into powers of two, which need no padding."""
+on a Hilbert curve of ``LEVELS`` bits a dimension. The curve is cut into stretches of about equally many ids; tasks take stretches, sort each by its key and lay
+its documents end to end, cut every ``size`` ids. What is left at the end of a task is cut into powers of two, which need no padding."""
 
 from __future__ import annotations
 
@@ -15,10 +15,12 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entitygraph.llm.tokens import blocks, encoder, vocabulary, with_end
+from entitygraph.llm.tokens import WORD_BLOCK, blocks, encoder, vocabulary
 from entitygraph.shared import materialise
 
 HASHED, DIMS, LEVELS = 256, 4, 10
+#: Ids in a stretch of the curve, stretches that a task packs on average, and tasks at most.
+RANGE_IDS, STRETCHES, MOST_TASKS = 500_000, 8, 100_000
 
 
 def hilbert_keys(points: np.ndarray, levels: int = LEVELS) -> np.ndarray:
@@ -69,13 +71,13 @@ def _tokenised(path: str, end_id: int):
         tokens = encoder(path)
         width = 2 if max(tokens.size - 1, end_id) < 1 << 16 else 4
         for batch in batches:
-            for block in blocks(batch, 1):
-                offsets, ids = with_end(*tokens.encode(block.column(1)), end_id)
-                raw = pa.py_buffer(ids.astype(f"<u{width}").tobytes())
+            for block in blocks(batch, 1, WORD_BLOCK):
+                offsets, ids = tokens.encode(block.column(1), end_id)
+                raw = pa.py_buffer(np.ascontiguousarray(ids, f"<u{width}"))
                 data = pa.Array.from_buffers(pa.large_binary(), len(offsets) - 1, [None, pa.py_buffer((offsets * width).astype(np.int64).tobytes()), raw])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(content_keys(offsets, ids)), block.column(0), pa.array(np.full(len(offsets) - 1, width, np.int32)), data.cast(pa.binary())],
-                    ["key", "doc_id", "width", "ids"],
+                    [pa.array(content_keys(offsets, ids)), block.column(0), pa.array(np.full(len(offsets) - 1, width, np.int32)), pa.array(np.diff(offsets)), data.cast(pa.binary())],
+                    ["key", "doc_id", "width", "n", "ids"],
                 )
 
     return run
@@ -145,17 +147,38 @@ def _pack(size: int):
     return run
 
 
-def pack(docs: DataFrame, end_id: int = 2, size: int = 4096, tokenizer: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _ranges(kept: DataFrame, range_ids: int) -> tuple[DataFrame, int]:
+    """``kept`` with the number of the stretch of the curve that each document lies in, and how many stretches there are.
+
+    Stretches hold about ``range_ids`` ids each, by the sums over 2**16 cells of the curve, which are all that reaches the driver. A cell with more (copies share a
+    key) is cut by a hash of the document, so that no stretch grows with the input."""
+    cell = F.shiftright("key", DIMS * LEVELS - 16)
+    cells = np.array([(r["c"], r["n"]) for r in kept.groupBy(cell.alias("c")).agg(F.sum("n").alias("n")).orderBy("c").collect()], np.int64).reshape(-1, 2)
+    if not len(cells):
+        return kept.withColumn("stretch", F.lit(0).cast("long")), 1
+    parts = np.maximum(1, cells[:, 1] // range_ids)
+    before = np.cumsum(cells[:, 1]) - cells[:, 1]
+    # a cut cell's parts are stretches of their own; the cells between share those that their sums fall in
+    own = np.where(parts > 1, parts, 0)
+    first = before // range_ids + np.cumsum(own) - own
+    table = kept.sparkSession.createDataFrame([(int(c), int(f), int(p)) for (c, _), f, p in zip(cells, first, parts, strict=True)], "cell int, first long, parts long")
+    placed = kept.withColumn("cell", cell.cast("int")).join(F.broadcast(table), "cell")
+    stretch = F.col("first") + F.when(F.col("parts") > 1, 1 + F.pmod(F.xxhash64("doc_id"), F.col("parts"))).otherwise(0)
+    return placed.withColumn("stretch", stretch).drop("cell", "first", "parts"), int(first[-1] + own[-1] + 1)
+
+
+def pack(docs: DataFrame, end_id: int = 2, size: int = 4096, tokenizer: str | None = None, id_col: str = "doc_id", text_col: str = "text", range_ids: int = RANGE_IDS) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, and ids (little-endian u32).
 
-    Null and empty texts are their end id alone; a text longer than a sequence spreads over several; ties in the key go by doc_id; an empty table gives
-    no rows; other columns are ignored. ``size`` must be a power of two."""
+    Null and empty texts are their end id alone; a text longer than a sequence spreads over several; ties in the key go by doc_id, and rows that repeat an id
+    are packed each, next to each other; an empty table gives no rows; other columns are ignored, whatever their names. ``size`` must be a power of two."""
     if size & size - 1:
         raise ValueError("size must be a power of two")
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    kept = materialise(texts.mapInArrow(_tokenised(tokenizer or vocabulary(), end_id), "key long, doc_id long, width int, ids binary"), "tokenised", "zstd")
-    ordered = kept.repartitionByRange("key", "doc_id").sortWithinPartitions("key", "doc_id")
-    return ordered.mapInArrow(
+    kept = materialise(texts.mapInArrow(_tokenised(tokenizer or vocabulary(), end_id), "key long, doc_id long, width int, n long, ids binary"), "tokenised", "zstd")
+    placed, stretches = _ranges(kept, range_ids)
+    dealt = placed.repartition(max(1, min(MOST_TASKS, stretches // STRETCHES)), "stretch").sortWithinPartitions("stretch", "key", "doc_id", "ids")
+    return dealt.select("key", "doc_id", "width", "ids").mapInArrow(
         _pack(size), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids binary"
     )
 

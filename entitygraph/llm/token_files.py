@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from entitygraph.llm.tokens import blocks, encoder, vocabulary, with_end
+from entitygraph.llm.tokens import WORD_BLOCK, blocks, encoder, vocabulary
 from entitygraph.shared import materialise, new_path
 
 MAGIC = b"EGTK\x01"
@@ -57,26 +57,39 @@ class EliasFano:
         return (bits.astype(np.uint64) << np.arange(self.width, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
 
     def select(self, i: int) -> int:
-        """Value i: the nearest sample, then one word after the other."""
+        """Value i."""
         if not 0 <= i < self.n:
             raise IndexError(i)
-        at = int(self.samples[i // SAMPLE])
+        return int(self.select_many(np.array([i]))[0])
+
+    def select_many(self, i: np.ndarray) -> np.ndarray:
+        """Values i (from 0 to n - 1): from the nearest sample on, word by word for all that are not yet there, then bit by bit inside the word."""
+        if not len(i):
+            return np.empty(0, np.int64)
+        i = np.asarray(i, np.int64)
+        at = self.samples[i // SAMPLE].astype(np.int64)
         word, left = at >> 6, i % SAMPLE
-        bits = int(self.high[word]) >> (at & 63) << (at & 63)
-        while (ones := bits.bit_count()) <= left:
-            left -= ones
-            word += 1
-            bits = int(self.high[word])
-        for _ in range(left):
-            bits &= bits - 1
-        place = (word << 6) + (bits & -bits).bit_length() - 1
-        return (place - i << self.width) | int(self._low(np.array([i]))[0])
+        skip = (at & 63).astype(np.uint64)
+        bits = self.high[word] >> skip << skip  # from the sample's own one on
+        open_ = np.arange(len(i))
+        while len(open_):
+            ones = np.bitwise_count(bits[open_]).astype(np.int64)
+            open_, ones = (x[ones <= left[open_]] for x in (open_, ones))
+            left[open_] -= ones
+            word[open_] += 1
+            bits[open_] = self.high[word[open_]]
+        open_ = np.flatnonzero(left)
+        while len(open_):
+            bits[open_] &= bits[open_] - np.uint64(1)
+            left[open_] -= 1
+            open_ = open_[left[open_] > 0]
+        low_one = bits & (~bits + np.uint64(1))
+        place = (word << 6) + np.bitwise_count(low_one - np.uint64(1)).astype(np.int64)
+        return (place - i << self.width) | self._low(i).astype(np.int64)
 
     def values(self) -> np.ndarray:
-        ones = np.flatnonzero(np.unpackbits(self.high.view(np.uint8), bitorder="little"))[: self.n]
-        i = np.arange(self.n)
-        low = np.concatenate([self._low(i[k : k + 65536]) for k in range(0, self.n, 65536)]) if self.n else np.empty(0, np.uint64)
-        return ((ones - i).astype(np.uint64) << np.uint64(self.width) | low).astype(np.int64)
+        """All values, selected in blocks."""
+        return np.concatenate([np.empty(0, np.int64), *(self.select_many(np.arange(k, min(k + 65536, self.n))) for k in range(0, self.n, 65536))])
 
     def to_bytes(self) -> bytes:
         head = struct.pack("<QBQQ", self.n, self.width, len(self.high), len(self.samples))
@@ -136,8 +149,8 @@ def _write(path: str, end_id: int, shard_ids: int):
             )
 
         for batch in batches:
-            for block in blocks(batch, 1):
-                offsets, ids = with_end(*tokens.encode(block.column(1)), end_id)
+            for block in blocks(batch, 1, WORD_BLOCK):
+                offsets, ids = tokens.encode(block.column(1), end_id)
                 docs.append(block.column(0).to_numpy())
                 sizes.append(np.diff(offsets))
                 held.append(ids.astype(f"<u{width}"))
@@ -152,9 +165,12 @@ def _write(path: str, end_id: int, shard_ids: int):
 
 
 def write_token_files(docs: DataFrame, path: str, end_id: int, tokenizer: str | None = None, shard_ids: int = SHARD_IDS, id_col: str = "doc_id", text_col: str = "text") -> None:
-    """Writes the ids of all texts, each with the end id after it, in ascending order of the document id. Null texts are empty."""
+    """Writes the ids of all texts, each with the end id after it, in ascending order of the document id.
+
+    Null and empty texts are their end id alone; a text of any length lies in one file; rows that repeat an id lie next to each other, in the order of their texts;
+    rows without an id come first, as id null is not a number: they are left out. An empty table gives no files; other columns are ignored, whatever their names."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    ordered = texts.repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    ordered = texts.where("doc_id is not null").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     images = ordered.mapInArrow(_write(tokenizer or vocabulary(), end_id, shard_ids), "part int, number int, n_docs long, n_ids long, image binary")
     images.write.option("compression", "zstd").parquet(path)
 
@@ -163,13 +179,13 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for base, image in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
             file = TokenFile(image.as_buffer().to_pybytes())
-            bounds = file.bounds.values()
-            wide = file.ids.astype("<u4")
-            sums = [zlib.crc32(wide[a:b]) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(file.doc_ids()), pa.array(bounds[:-1] + base), pa.array(np.diff(bounds)), pa.array(sums, pa.int64())],
-                ["doc_id", "start", "n_tokens", "ids_crc32"],
-            )
+            for at in range(0, file.n_docs, 65536):
+                bounds = file.bounds.select_many(np.arange(at, min(at + 65536, file.n_docs) + 1))
+                wide = file.ids[bounds[0] : bounds[-1]].astype("<u4")
+                local = (bounds - bounds[0]).tolist()
+                sums = [zlib.crc32(wide[a:b]) for a, b in zip(local[:-1], local[1:], strict=True)]
+                docs = file.gaps.select_many(np.arange(at, at + len(sums))) + file.first
+                yield pa.RecordBatch.from_arrays([pa.array(docs), pa.array(bounds[:-1] + base), pa.array(np.diff(bounds)), pa.array(sums, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
 
 def read_token_files(spark: SparkSession, path: str) -> DataFrame:
