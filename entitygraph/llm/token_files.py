@@ -25,7 +25,7 @@ from entitygraph.shared import materialise, new_path
 
 MAGIC = b"EGTK\x01"
 SAMPLE = 256
-SHARD_IDS = 2_000_000
+SHARD_IDS = 1_000_000
 #: Rows of file starts that are broadcast; more are joined by shuffling.
 BROADCAST_ROWS = 500_000
 

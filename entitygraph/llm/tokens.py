@@ -20,9 +20,9 @@ PRE_TOKENISER = [
 #: Words of these characters are cut by the split pattern outside the tokenizer; no normalisation but lower case changes them.
 PLAIN = "^[\x21-\x7e¡-įı-ɏ]*$"
 #: Texts of about so many bytes are handled together; so many where only their words are looked up.
-BLOCK, WORD_BLOCK = 4_000_000, 8_000_000
+BLOCK, WORD_BLOCK = 4_000_000, 6_000_000
 #: Parts of words kept per worker; beyond it the dictionary starts anew.
-PARTS = 1_000_000
+PARTS = 400_000
 
 
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
