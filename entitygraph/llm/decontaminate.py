@@ -3,7 +3,8 @@
 Benchmark texts are cut into segments of ``SEGMENT`` normalised bytes at half that stride (shorter items are one segment). A segment of m bytes
 that occurs in a text with at most e = floor(m * RATE) edits shares at least m + 1 - q - q * e of its q-grams with it on diagonals
 within a band of e + 1; so shared q-grams are counted in overlapping bands of 2(e + 1) diagonals, regions that meet the bound are
-kept, and each is verified by an alignment restricted to its band. A text with a verified segment is contaminated."""
+kept, and each is verified by an alignment restricted to its band. A text with a verified segment is contaminated. Items under ``SHORT`` normalised bytes, for which the lemma
+gives no bound, are searched for as they are, between word borders and without edits."""
 
 from __future__ import annotations
 
@@ -16,7 +17,7 @@ from pyspark.sql import functions as F
 
 from entitygraph.llm.suffix_dedup import _binary
 
-Q, SEGMENT, RATE = 8, 64, 0.08
+Q, SEGMENT, RATE, SHORT = 8, 64, 0.08, 16
 #: Benchmark bytes that go to every worker at once; more are searched for in turns.
 TURN_BYTES = 8_000_000
 SLICE = 1 << 20
@@ -52,14 +53,18 @@ class Segments:
     def __init__(self, items: list[tuple[int, str]]):
         self.texts: list[np.ndarray] = []
         owner = []
+        self.short: list[tuple[int, bytes]] = []
         for item, text in items:
             data = normalised(np.frombuffer((text or "").encode(), np.uint8))
+            if len(data) < SHORT:
+                if len(data):
+                    self.short.append((item, b" " + data.tobytes() + b" "))
+                continue
             starts = range(0, max(1, len(data) - SEGMENT // 2), SEGMENT // 2) if len(data) > SEGMENT else [0]
             for at in {min(s, max(0, len(data) - SEGMENT)) for s in starts}:
                 piece = data[at : at + SEGMENT]
-                if len(piece) >= Q + 8:
-                    self.texts.append(piece)
-                    owner.append(item)
+                self.texts.append(piece)
+                owner.append(item)
         self.owner = np.array(owner, np.int64)
         self.sizes = np.array([len(t) for t in self.texts], np.int64)
         self.edits = (self.sizes * RATE).astype(np.int64)
@@ -154,13 +159,16 @@ def _search(items: list[tuple[int, str]]):
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             offsets, data = _binary(batch.column(1))
             row, out = 0, []
-            while row < len(ids) and len(segments.texts):
+            while row < len(ids) and (len(segments.texts) or segments.short):
                 last = max(row + 1, int(np.searchsorted(offsets, offsets[row] + SLICE, "right")) - 1)
                 texts = [normalised(data[a:b]) for a, b in zip(offsets[row:last], offsets[row + 1 : last + 1], strict=True)]
                 padded = [np.append(t, np.zeros(Q, np.uint8)) for t in texts]
                 joined = np.concatenate(padded)
                 starts = np.append(0, np.cumsum([len(t) for t in padded]))
-                t, s, d = segments.regions(joined, starts[:-1])
+                for item, words in segments.short:
+                    hits = [row + k for k, x in enumerate(texts) if words in b" " + x.tobytes() + b" "]
+                    out.append(np.array([(ids[k], item) for k in hits], np.int64).reshape(-1, 2))
+                t, s, d = segments.regions(joined, starts[:-1]) if segments.texts else (np.empty(0, np.int64),) * 3
                 if len(t):
                     good = segments.aligned(joined, starts[t], starts[t + 1] - Q, s, d) <= segments.edits[s]
                     hits = np.unique(np.column_stack([ids[row + t[good]], segments.owner[s[good]]]), axis=0)
@@ -188,9 +196,10 @@ def _turns(benchmark: DataFrame) -> Iterator[list[tuple[int, str]]]:
 def contaminated_pairs(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """(doc_id, item_id), once each: the text holds a segment of the item within the edit budget.
 
-    Null and empty texts or items match nothing; items under 16 normalised bytes are too short to judge and match nothing; whole texts are searched,
-    with no cap; other columns are ignored; a benchmark of any size is searched for in turns that fit a worker."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).cast("binary").alias("text"))
+    Null and empty texts or items match nothing, nor do items of signs alone; items under 16 normalised bytes match as whole words; whole texts are searched,
+    with no cap; rows without an id match nothing; rows that repeat an id are one document, items that repeat one are one item; equal texts match equally; an empty table gives no rows;
+    other columns are ignored; a benchmark of any size is searched for in turns that fit a worker."""
+    texts = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).cast("binary").alias("text"))
     found = None
     for items in _turns(benchmark):
         part = texts.mapInArrow(_search(items), "doc_id long, item_id long")
@@ -199,7 +208,8 @@ def contaminated_pairs(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The documents that hold no benchmark segment, with all their columns."""
+    """The documents that hold no benchmark segment, with all their columns. Rows without an id stay, as null, empty and clean texts do; of rows that repeat an id all go where one holds
+    a segment; an empty table gives no rows."""
     bad = contaminated_pairs(docs, benchmark).select(F.col("doc_id").alias("_bad")).distinct()
     return docs.join(bad, docs["doc_id"] == bad["_bad"], "left_anti")
 

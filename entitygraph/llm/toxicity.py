@@ -4,7 +4,7 @@ A token is a word or the beginning of one. Its score is the log-odds ratio of th
 Dirichlet prior (the pooled counts). A word takes the score of that of its tokens that stands out most; one none of whose tokens is ``LEAST_Z`` standard errors and ``LEAST_ODDS`` from even gets the drift, a small negative score, so that random text has negative
 expectation. One linear scan finds all maximal scoring segments. Under that model the best score of n tokens follows an extreme-value law: E =
 K n exp(-lambda S) chance segments reach score S; lambda solves E[exp(lambda X)] = 1 over the other class, K is fitted on it. A text's evidence is the sum of -log E over its
-significant segments, or -log E of the best, turned into a probability by logistic calibration."""
+significant segments, or -log E of the best; its signed logarithm, which keeps strong texts apart, is turned into a probability by logistic calibration."""
 
 from __future__ import annotations
 
@@ -19,8 +19,8 @@ from entitygraph.llm.tokens import blocks
 from entitygraph.llm.words import SIGNS, fold, labelled_sample, word_codes
 from entitygraph.shared import materialise
 
-#: Labelled rows that scores and calibration are fitted on, and tokens with a score of their own, at most.
-TRAIN_ROWS, TOKENS = 16_000, 10_000
+#: Labelled rows that scores and calibration are fitted on, at most; they bound the tokens with a score of their own and all that reaches the driver.
+TRAIN_ROWS = 16_000
 LEAST_Z, LEAST_ODDS, DRIFT, PRIOR, SIGNIFICANT = 3.0, 1.5, -0.1, 20.0, 0.05
 #: Lengths of the word beginnings that are tokens too.
 BEGINNINGS = (5, 6, 7)
@@ -101,12 +101,13 @@ class ToxicityModel:
             return 0.0
         logs = [-np.log(self.expected(s[2], n)) for s in spans]
         strong = [x for x in logs if x > -np.log(SIGNIFICANT)]
-        return float(np.clip(sum(strong) if strong else max(logs), -5, 60))
+        total = sum(strong) if strong else max(logs)
+        return float(np.copysign(np.log1p(abs(total)), total))
 
     def probability(self, evidence: np.ndarray) -> np.ndarray:
         if self.base == -np.inf:  # no labels
             return np.zeros(len(evidence))
-        return 1 / (1 + np.exp(-np.clip(self.slope * evidence + self.base, -30, 30)))
+        return 1 / (1 + np.exp(-np.clip(self.slope * evidence + self.base, -700, 700)))
 
 
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -132,19 +133,19 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def token_scores(sample: DataFrame) -> dict[str, tuple[float, float]]:
-    """Log-odds and standard errors of the tokens that stand out most, either way, over the texts that hold them."""
+    """Log-odds and standard errors of the tokens that stand out, either way, over the texts that hold them; only these reach the driver."""
     bad, good = (x or 0 for x in sample.agg(F.sum((F.col("y") > 0).cast("int")), F.sum((F.col("y") <= 0).cast("int"))).first())
     if not bad or not good:
         return {}
     counts = (
-        sample.mapInArrow(_counted, "token string, bad long, good long").groupBy("token").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good")).where("bad + good > 4")
+        sample.mapInArrow(_counted, "token string, bad long, good long").groupBy("token").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"))
     )
     share = F.lit(PRIOR) * (F.col("bad") + F.col("good")) / F.lit(bad + good)
     logit = lambda c, n: F.log((F.col(c) + share) / (F.lit(n + PRIOR) - F.col(c) - share))
     error = F.sqrt(1 / (F.col("bad") + share) + 1 / (F.col("good") + share))
     odds = (logit("bad", bad) - logit("good", good)).alias("odds")
     scored = counts.where("token != ''").select("token", odds, error.alias("error")).select("token", "odds", (F.col("odds") / F.col("error")).alias("z"))
-    best = scored.where((F.abs("z") >= LEAST_Z) & (F.abs("odds") >= LEAST_ODDS)).orderBy(F.desc(F.abs("z")), "token").limit(TOKENS)
+    best = scored.where((F.abs("z") >= LEAST_Z) & (F.abs("odds") >= LEAST_ODDS))
     return {r["token"]: (float(r["odds"]), float(r["z"])) for r in best.collect()}
 
 
@@ -165,46 +166,61 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, div
     sample = materialise(labelled_sample(docs, labels, label, divisor, left_out, most), "sample")
     model = ToxicityModel(token_scores(sample))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """A row (y, n, best, none, 1) for each text, and rows (none, n, none, score, times) for the scores of the tokens of texts of the other class."""
         for batch in batches:
             for block in blocks(batch, 0):
                 n, spans = zip(*model.passages(block.column(0)), strict=True)
-                offsets, codes, words = word_codes(block.column(0))
+                y = block.column(1).to_numpy()
+                best = [max((s[2] for s in x), default=0.0) for x in spans]
+                _, codes, words = word_codes(block.column(0).filter(pa.array(y <= 0)))
                 own = np.fromiter(map(model.value, words), float, len(words)) if words else np.empty(0)
-                tops = [sorted((s[2] for s in x), reverse=True) for x in spans]
-                hits = [own[codes[a:b]][own[codes[a:b]] != DRIFT].tolist() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
+                values, times = np.unique(np.round(own[codes], 3) if len(codes) else own, return_counts=True)
+                k, m = len(n), len(values)
                 yield pa.RecordBatch.from_arrays(
-                    [block.column(1), pa.array(n, pa.int64()), pa.array(tops, pa.list_(pa.float64())), pa.array(hits, pa.list_(pa.float64()))], ["y", "n", "tops", "hits"]
-                )
-
-    rows = sample.mapInArrow(run, "y int, n long, tops array<double>, hits array<double>").collect() if model.table else []
-    others = [r for r in rows if not r["y"]]
-    if not others or len(others) == len(rows):
+                    [pa.array([*y.tolist(), *[None] * m], pa.int32()), pa.array([*n, *[0] * m], pa.int64()), pa.array([*best, *[None] * m], pa.float64()),
+                     pa.array([*[None] * k, *values.tolist()], pa.float64()), pa.array([*[1] * k, *times.tolist()], pa.int64())],
+                    ["y", "n", "best", "value", "times"],
+                )
+
+    rows = []
+    if model.table:  # at most a row for each labelled text and for each scored token
+        found = sample.mapInArrow(measured, "y int, n long, best double, value double, times long")
+        rows = found.groupBy("y", "n", "best", "value").agg(F.sum("times").alias("times")).collect()
+    others = [r for r in rows if r["y"] is not None and r["y"] <= 0]
+    if not others or not any(r["y"] is not None and r["y"] > 0 for r in rows):
         bad, n = sample.agg(F.sum((F.col("y") > 0).cast("int")), F.count("*")).first()
         model.table, model.base = {}, float(np.log((bad + 1) / (n - bad + 1))) if n else -np.inf
         return model
-    tokens = sum(r["n"] for r in others)
-    values, times = np.unique(np.round(np.concatenate([np.array(r["hits"] or [], float) for r in others] + [np.empty(0)]), 3), return_counts=True)
-    drift = tokens - times.sum()
+    seen = [r for r in rows if r["value"] is not None]
+    values, times = np.array([r["value"] for r in seen], float), np.array([r["times"] for r in seen], float)
     low, high = 1e-3, 5.0
-    mass = lambda t: (np.exp(t * values) * times).sum() + np.exp(t * DRIFT) * drift - tokens
+    mass = lambda t: (np.exp(t * values) * times).sum() - times.sum()
     for _ in range(60):  # the positive root: the mean is negative, so the mass is under its value at 0 before it
         middle = (low + high) / 2
         low, high = (middle, high) if mass(middle) < 0 else (low, middle)
     model.rate = max(low, 0.05)
-    best = np.array([r["tops"][0] if r["tops"] else 0.0 for r in others])
-    n = np.maximum([r["n"] for r in others], 1)
+    best = np.repeat([r["best"] for r in others], [r["times"] for r in others])
+    n = np.maximum(np.repeat([r["n"] for r in others], [r["times"] for r in others]), 1)
     middle = np.median(best)  # half of the other texts have no better segment: 1 - exp(-E) = 1/2 at the median
     model.scale = float(np.clip(np.log(2) / np.median(n) * np.exp(min(model.rate * middle, 50)), 1e-6, 1.0))
-    evidence = np.array([model.evidence(r["n"], [(0, 0, s) for s in r["tops"]]) for r in rows])
-    y = np.array([r["y"] > 0 for r in rows], float)
-    model.slope, model.base = _logistic(evidence, y)
+
+    def judged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for block in blocks(batch, 0):
+                evidence = [model.evidence(*x) for x in model.passages(block.column(0))]
+                yield pa.RecordBatch.from_arrays([block.column(1), pa.array(evidence, pa.float64())], ["y", "evidence"])
+
+    pairs = sample.mapInArrow(judged, "y int, evidence double").collect()  # two numbers for each labelled text
+    model.slope, model.base = _logistic(np.array([r["evidence"] for r in pairs]), np.array([r["y"] > 0 for r in pairs], float))
     return model
 
 
 def toxicity_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
     """(doc_id, score, leaning, passages): the whole text of every row; leaning is whether any segment of it leans to the toxic, passages are the significant ones
-    (first word, end, score). Nulls are empty texts."""
+    (first word, end, score).
+
+    Null and empty texts have no segment; equal texts have equal scores; rows that repeat an id or have none are scored each; an empty table gives no rows; other columns are ignored."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
@@ -226,7 +242,10 @@ def rejected(threshold: float = 0.3):
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """The documents that are not rejected, with all their columns."""
+    """The documents that are not rejected, with all their columns.
+
+    Null and empty texts have no passage and stay; so do rows without an id, which no label or score can name; of rows that repeat an id all go where one is rejected; equal texts
+    have equal scores; whole texts are read; without labels of both classes every row stays; an empty table gives no rows."""
     bad = toxicity_scores(docs, fit_toxicity(docs, labels)).where(rejected(threshold)).select(F.col("doc_id").alias("_bad")).distinct()
     return docs.join(bad, docs["doc_id"] == bad["_bad"], "left_anti")
 
