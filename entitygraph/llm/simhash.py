@@ -1,11 +1,11 @@
 """SimHash near-dedup: majority fingerprints of word shingles, and exact links within a Hamming radius.
 
 Candidates come from blocks of the fingerprint: for radius r the 64 bits are cut into r + 2 blocks, and two fingerprints that
-differ in at most r bits agree on at least two blocks; every pair of blocks is a key. A bucket of up to ``BUCKET`` distinct fingerprints is compared
-in one row with vertical bit planes: plane k holds bit k of every fingerprint of the bucket, a query's differing planes are
-added with carry-save counters, and a block of columns is left as soon as every column in it is beyond the radius. Only a
-spanning forest of a bucket's links leaves it. Larger buckets are linked exactly by masking: two fingerprints within r bits
-are equal once some r bits are blanked, so every choice of r bits gives an equality key, whose groups are linked in a star."""
+differ in at most r bits agree on at least two blocks; every pair of blocks is a key. The free bits of a bucket with more than ``BUCKET`` distinct fingerprints are cut in the same way, which
+loses no pair, until a bucket is small or so few bits are free that it cannot be large. All buckets are compared
+with vertical bit planes: plane k holds bit k of every fingerprint, each bucket in words of its own; a query's differing planes are
+added with carry-save counters, and a word of columns is left as soon as every column in it is beyond the radius. Only a
+spanning forest of a bucket's links leaves it."""
 
 from __future__ import annotations
 
@@ -74,13 +74,10 @@ def bit_planes(marks: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(np.packbits(bits.T, axis=1, bitorder="little")).view(np.uint64)
 
 
-def within(planes: np.ndarray, queries: np.ndarray, radius: int) -> np.ndarray:
-    """For each query, the columns within the radius, as packed words. Counters saturate above the radius; a query's blocks
-    of columns are abandoned when all have saturated."""
+def within_words(planes: np.ndarray, queries: np.ndarray, row: np.ndarray, block: np.ndarray, radius: int) -> np.ndarray:
+    """For each pair of a query and a word of columns, the columns within the radius, as bits. Counters saturate above the radius; a pair is abandoned when all its columns have."""
     ones = np.uint64(0xFFFFFFFFFFFFFFFF)
-    words = planes.shape[1]
-    found = np.zeros((len(queries), words), np.uint64)
-    row, block = (x.ravel() for x in np.meshgrid(np.arange(len(queries)), np.arange(words), indexing="ij"))
+    found, left = np.zeros(len(row), np.uint64), np.arange(len(row))
     width = (radius + 1).bit_length()
     counters = [np.zeros(len(row), np.uint64) for _ in range(width)]
     beyond = np.zeros(len(row), np.uint64)
@@ -99,18 +96,51 @@ def within(planes: np.ndarray, queries: np.ndarray, radius: int) -> np.ndarray:
         if k % 8 == 7:
             alive = beyond != ones
             if not alive.all():
-                row, block, beyond = row[alive], block[alive], beyond[alive]
+                row, block, beyond, left = row[alive], block[alive], beyond[alive], left[alive]
                 counters = [c[alive] for c in counters]
                 if not len(row):
                     return found
-    found[row, block] = ~beyond
+    found[left] = ~beyond
     return found
 
 
-def forest(marks: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Of distinct marks: (member, least mark of its component) for all that have a link."""
-    n = len(marks)
-    planes, parent = bit_planes(marks), np.arange(n)
+def within(planes: np.ndarray, queries: np.ndarray, radius: int) -> np.ndarray:
+    """For each query, the columns within the radius, as packed words."""
+    words = planes.shape[1]
+    row, block = (x.ravel() for x in np.meshgrid(np.arange(len(queries)), np.arange(words), indexing="ij"))
+    return within_words(planes, queries, row, block, radius).reshape(len(queries), words)
+
+
+def bucket_links(marks: np.ndarray, borders: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (x, y), x < y, of the marks of one bucket within the radius. Bucket i is marks[borders[i]:borders[i + 1]]; each has plane words of its own."""
+    size = np.diff(borders)
+    words = -(-size // 64)
+    first = np.cumsum(words) - words
+    which = np.repeat(np.arange(len(size)), size)
+    inside = np.arange(len(marks)) - borders[which]
+    columns = np.zeros((int(words.sum()) * 64, BITS), np.uint8)
+    columns[first[which] * 64 + inside] = np.unpackbits(marks.view(np.uint8), bitorder="little").reshape(-1, BITS)
+    planes = np.ascontiguousarray(np.packbits(columns.T, axis=1, bitorder="little")).view(np.uint64)
+    per = words[which] - inside // 64  # a query meets its own word and those after it
+    todo = np.append(0, np.cumsum(per))
+    for at in range(0, int(todo[-1]), 1 << 18):
+        pair = np.arange(at, min(at + (1 << 18), int(todo[-1])))
+        row = np.searchsorted(todo, pair, "right") - 1
+        block = first[which[row]] + inside[row] // 64 + pair - todo[row]
+        base = int(row[0])
+        near = within_words(planes, marks[base : int(row[-1]) + 1], row - base, block, radius)
+        hit = np.flatnonzero(near)
+        bits = np.unpackbits(near[hit].view(np.uint8), bitorder="little").reshape(-1, 64)
+        i, column = np.nonzero(bits)
+        x = row[hit[i]]
+        y = borders[which[x]] + (block[hit[i]] - first[which[x]]) * 64 + column
+        real = (y > x) & (y < borders[which[x] + 1])  # padding columns are zeros
+        yield x[real], y[real]
+
+
+def forests(marks: np.ndarray, borders: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of buckets of distinct marks: (member, a mark of its component) for edges that make the components of each bucket."""
+    parent = np.arange(len(marks))
 
     def root(x: int) -> int:
         while parent[x] != x:
@@ -118,90 +148,76 @@ def forest(marks: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
             x = parent[x]
         return x
 
-    for at in range(0, n, 256):
-        near = np.unpackbits(within(planes, marks[at : at + 256], radius).view(np.uint8), axis=1, bitorder="little")[:, :n]
-        for x, y in zip(*np.nonzero(near), strict=True):
-            if x + at < y:
-                a, b = root(x + at), root(y)
-                if a != b:
-                    parent[b] = a
-    roots = np.array([root(x) for x in range(n)])
-    order = np.lexsort((marks, roots))
-    lead = np.zeros(n, marks.dtype)
-    fresh = np.append(True, roots[order][1:] != roots[order][:-1])
-    lead[order] = marks[order][fresh][np.cumsum(fresh) - 1]
-    linked = lead != marks
-    return marks[linked], lead[linked]
+    left, right = [], []
+    for xs, ys in bucket_links(marks, borders, radius):
+        for x, y in zip(xs.tolist(), ys.tolist(), strict=True):
+            a, b = root(x), root(y)
+            if a != b:
+                parent[b] = a
+                left.append(x)
+                right.append(y)
+    return marks[np.array(left, int)], marks[np.array(right, int)]
 
 
 def _forests(radius: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            members, leads = [], []
             lists = batch.column(0)
-            flat, offsets = lists.flatten().to_numpy(), lists.offsets.to_numpy() - lists.offsets[0].as_py()
-            for a, b in zip(offsets[:-1], offsets[1:], strict=True):
-                if b - a == 2:  # a pair needs no planes
-                    x, y = sorted((flat[a], flat[a + 1]))
-                    if int(x ^ y).bit_count() <= radius if x ^ y >= 0 else int((x ^ y) & 0x7FFFFFFFFFFFFFFF).bit_count() + 1 <= radius:
-                        members.append(np.array([y]))
-                        leads.append(np.array([x]))
-                else:
-                    m, lead = forest(np.ascontiguousarray(flat[a:b]), radius)
-                    members.append(m)
-                    leads.append(lead)
-            if members:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(leads), pa.int64()), pa.array(np.concatenate(members), pa.int64())], ["a", "b"])
-
-    return run
-
-
-def block_keys(mark, radius: int):
-    """One struct (choice, key) for each pair of blocks: the mark with all other bits blanked."""
-    cuts = np.linspace(0, BITS, radius + 3).astype(int)
-    masks = [sum(1 << k for k in range(a, b)) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-    signed = lambda m: m - (1 << 64) if m >> 63 else m
-    pairs = [signed(a | b) for a, b in combinations(masks, 2)]
-    return F.array(*[F.struct(F.lit(i).alias("choice"), mark.bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(pairs)])
-
-
-def _masked(radius: int):
-    blanks = [sum(1 << k for k in c) for c in combinations(range(BITS), radius)]
-    keep = np.array([~b & ((1 << 64) - 1) for b in blanks], np.uint64).view(np.int64)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        which = np.arange(len(keep), dtype=np.int32)
-        for batch in batches:
-            marks = batch.column(0).to_numpy()
-            for at in range(0, len(marks), 64):
-                part = marks[at : at + 64]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.tile(which, len(part))), pa.array((part[:, None] & keep).ravel()), pa.array(np.repeat(part, len(keep)))], ["which", "rest", "mark"]
-                )
+            borders = lists.offsets.to_numpy().astype(np.int64)
+            marks = np.ascontiguousarray(lists.values.to_numpy()[borders[0] : borders[-1]])
+            a, b = forests(marks, borders - borders[0], radius)
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     return run
 
 
-def linked_marks(marks: DataFrame, radius: int = 2, bucket: int = BUCKET) -> DataFrame:
-    """Edges (a, b) between distinct fingerprints whose components are those of all pairs within the radius."""
-    keyed = marks.select("mark", F.explode(block_keys(F.col("mark"), radius)).alias("k")).select("k.choice", "k.key", "mark")
-    sizes = keyed.groupBy("choice", "key").agg(F.count("*").alias("n")).where("n > 1")
-    grouped = materialise(keyed.join(sizes, ["choice", "key"]), "buckets")
-    small = grouped.where(F.col("n") <= bucket).groupBy("choice", "key").agg(F.collect_list("mark").alias("marks"))
-    near = small.select("marks").mapInArrow(_forests(radius), "a long, b long")
-    masked = grouped.where(F.col("n") > bucket).select("mark").distinct().mapInArrow(_masked(radius), "which int, rest long, mark long")
-    least = masked.groupBy("which", "rest").agg(F.min("mark").alias("a"), F.count("*").alias("n")).where("n > 1").select("which", "rest", "a")
-    stars = masked.join(least, ["which", "rest"]).where("mark != a").select("a", F.col("mark").alias("b"))
-    if grouped.where(F.col("n") > bucket).limit(1).count() == 0:
-        return near
-    return near.union(stars.distinct())
+def block_masks(radius: int, fixed: tuple[int, ...] = ()) -> list[tuple[int, ...]]:
+    """The choices of two of radius + 2 blocks of the bits that are still free, each as all bits that are fixed then. Marks that agree on the fixed bits and differ in at most
+    ``radius`` others agree on one of the choices."""
+    free = [k for k in range(BITS) if k not in set(fixed)]
+    cuts = np.linspace(0, len(free), radius + 3).astype(int)
+    blocks = [tuple(free[a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+    return [(*fixed, *a, *b) for a, b in combinations(blocks, 2)]
+
+
+def _signed(bits: tuple[int, ...]) -> int:
+    mask = sum(1 << k for k in bits)
+    return mask - (1 << 64) if mask >> 63 else mask
+
+
+def linked_marks(marks: DataFrame, radius: int = 2, bucket: int = BUCKET, levels: int = 3) -> DataFrame:
+    """Edges (a, b) between distinct fingerprints whose components are those of all pairs within the radius.
+
+    A bucket of more than ``bucket`` is dealt by the choices of its own free bits, level by level; at the last one a bucket holds at most 2 to the number of free bits,
+    256 for radius 2. Buckets are dealt by a hash of all their fixed bits."""
+    choices = block_masks(radius)
+    table = F.array(*[F.lit(_signed(c)) for c in choices])
+    number = len(choices)
+    keyed = marks.select("mark", F.explode(F.sequence(F.lit(0), F.lit(number - 1))).alias("choice"))
+    edges = None
+    for level in range(levels):
+        keyed = keyed.select("choice", F.col("mark").bitwiseAND(F.get(table, "choice")).alias("key"), "mark")
+        sizes = keyed.groupBy("choice", "key").agg(F.count("*").alias("n")).where("n > 1")
+        grouped = materialise(keyed.join(sizes, ["choice", "key"]), "buckets")
+        last = level == levels - 1
+        small = grouped if last else grouped.where(F.col("n") <= bucket)
+        near = small.groupBy("choice", "key").agg(F.collect_list("mark").alias("marks")).select("marks").mapInArrow(_forests(radius), "a long, b long")
+        edges = near if edges is None else edges.union(near)
+        large = grouped.where(F.col("n") > bucket)
+        if last or large.limit(1).count() == 0:
+            return edges
+        choices = [d for c in choices for d in block_masks(radius, c)]
+        table = F.array(*[F.lit(_signed(c)) for c in choices])
+        keyed = large.select("mark", F.explode(F.sequence(F.col("choice") * number, F.col("choice") * number + number - 1)).alias("choice"))
+    return edges
 
 
 def simhash_components(docs: DataFrame, size: int = 3, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fingerprint (16 hexadecimal digits), component_id: the least doc_id reachable over links of at most ``radius`` differing bits.
 
-    Null and wordless texts have fingerprint zero and link like any other; equal fingerprints always link; other columns are
-    ignored; an empty table gives no rows. Documents with equal fingerprints are one class and never paired."""
+    Null and wordless texts have fingerprint zero and link like any other; equal fingerprints always link; texts of any length are read whole; rows that repeat an id keep a row each; a row
+    without an id has its fingerprint's component, which a null never names unless no member has an id; other columns are
+    ignored, whatever their names; an empty table gives no rows. Documents with equal fingerprints are one class and never paired."""
     marked = materialise(fingerprints(docs, size, id_col, text_col), "fingerprints")
     classes = materialise(marked.groupBy("mark").agg(F.min("doc_id").alias("least")), "classes")
     groups = connected_components(linked_marks(classes.select("mark"), radius))

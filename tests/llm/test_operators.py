@@ -96,9 +96,14 @@ def test_simhash_buckets_and_masks(spark):
     df = spark.createDataFrame([(m,) for m in marks], "mark long")
     c = components(len(marks), lambda i, j: ((marks[i] ^ marks[j]) & (1 << 64) - 1).bit_count() <= 2)
     want = {marks[i]: marks[c[i]] for i in range(len(marks)) if c.count(c[i]) > 1}
-    for size in (simhash.BUCKET, 4):
+    for size in (simhash.BUCKET, 4, 1):  # 1: every bucket down to the last level
         got = {x["record_id"]: x["component_id"] for x in connected_components(simhash.linked_marks(df, 2, size)).collect()}
         assert got == want
+    for radius in (3,):
+        c = components(len(marks), lambda i, j: ((marks[i] ^ marks[j]) & (1 << 64) - 1).bit_count() <= radius)
+        want = {marks[i]: marks[c[i]] for i in range(len(marks)) if c.count(c[i]) > 1}
+        got = {x["record_id"]: x["component_id"] for x in connected_components(simhash.linked_marks(df, radius, 8)).collect()}
+        assert got == want
 
 
 def test_quality_and_toxicity_learn(spark):
