@@ -243,6 +243,7 @@ def test_pii(spark):
 
 def test_embeddings(spark, monkeypatch):
     monkeypatch.setattr(vector_join, "HOMES", 16)
+    monkeypatch.setattr(vector_join, "COPY", 1)  # several pivots even for small labels
     r = np.random.default_rng(3)
     centres = r.normal(size=(12, 8))
     rows = [(i, (centres[i % 12] + r.normal(size=8) * 0.12).tolist(), int(i % 12 % 3)) for i in range(150)]
