@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from entitygraph.errors import LocalCapExceeded
+
 LOG = "sample string, quality string, layout string, n_rows long, algo string, mu double, epsilon double, precision double, recall double, f1 double, bal_acc double, seconds double"
 
 
@@ -28,8 +30,11 @@ def pair_confusion(pred: DataFrame, truth: DataFrame) -> DataFrame:
     return one.select(num("tp").alias("tp"), num("p - tp").alias("fp"), num("t - tp").alias("fn"), (_pairs(F.coalesce("total", F.lit(0))) - num("p") - num("t") + num("tp")).cast("decimal(38,0)").alias("tn"))
 
 
-def pair_confusion_enumerated(pred: DataFrame, truth: DataFrame) -> DataFrame:
-    """The same by looping over all pairs, for small record sets."""
+def pair_confusion_enumerated(pred: DataFrame, truth: DataFrame, max_records: int = 2000) -> DataFrame:
+    """The same by looping over all pairs, for reference; refuses more than ``max_records`` records."""
+    n = pred.count()
+    if n > max_records:
+        raise LocalCapExceeded(f"{n} records, at most {max_records} for all pairs")
     one = pred.join(truth.select("record_id", "truth_id"), "record_id")
     left = one.select(F.col("record_id").alias("a"), F.col("cluster_id").alias("ca"), F.col("truth_id").alias("ta"))
     right = one.select(F.col("record_id").alias("b"), F.col("cluster_id").alias("cb"), F.col("truth_id").alias("tb"))
@@ -38,8 +43,8 @@ def pair_confusion_enumerated(pred: DataFrame, truth: DataFrame) -> DataFrame:
     return pairs.agg(n("ca = cb and ta = tb").alias("tp"), n("ca = cb and ta != tb").alias("fp"), n("ca != cb and ta = tb").alias("fn"), n("ca != cb and ta != tb").alias("tn"))
 
 
-def pair_metrics(confusion: DataFrame, literal: bool = False) -> DataFrame:
-    """Adds precision, recall, f1 and balanced accuracy (``literal``: without halving)."""
+def metrics_of(confusion: DataFrame, literal: bool = False) -> DataFrame:
+    """Adds precision, recall, f1 and balanced accuracy (``literal``: without halving), rounded to six places, to rows with tp, fp, fn, tn."""
     d = {c: F.col(c).cast("double") for c in ("tp", "fp", "fn", "tn")}
     nothing = (F.col("tp") + F.col("fp") + F.col("fn")) == 0
     ratio = lambda a, b: F.when(nothing, 1.0).when(b == 0, 0.0).otherwise(a / F.when(b == 0, None).otherwise(b))
@@ -48,7 +53,12 @@ def pair_metrics(confusion: DataFrame, literal: bool = False) -> DataFrame:
     out = out.withColumn("f1", F.when(total == 0, 0.0).otherwise(2 * F.col("precision") * F.col("recall") / F.when(total == 0, None).otherwise(total)))
     tnr = F.when(d["tn"] + d["fp"] == 0, 1.0).otherwise(d["tn"] / F.when(d["tn"] + d["fp"] == 0, None).otherwise(d["tn"] + d["fp"]))
     out = out.withColumn("bal_acc", F.col("recall") + tnr if literal else (F.col("recall") + tnr) / 2)
-    return out.select("tp", "fp", "fn", "tn", *[F.round(c, 6).alias(c) for c in ("precision", "recall", "f1", "bal_acc")])
+    return out.select(*confusion.columns, *[F.round(c, 6).alias(c) for c in ("precision", "recall", "f1", "bal_acc")])
+
+
+def pair_metrics(confusion: DataFrame, literal: bool = False) -> DataFrame:
+    """tp, fp, fn, tn with the measures."""
+    return metrics_of(confusion.select("tp", "fp", "fn", "tn"), literal)
 
 
 def best_run(log: DataFrame) -> DataFrame:
@@ -69,9 +79,10 @@ def compare(summary: DataFrame, ours: str = "two_step", other: str = "entropy_it
     return one.select(*gains, F.round(F.col("seconds_y") / F.col("seconds_x"), 6).alias("speed_up"))
 
 
-def sensitivity(log: DataFrame, samples: list[str]) -> DataFrame:
-    """Mean F1 by mu, one column a sample."""
-    return log.where(F.col("sample").isin(samples)).groupBy("algo", "mu").pivot("sample", samples).agg(F.round(F.avg("f1"), 6))
+def sensitivity(log: DataFrame, samples: list[str], measures: tuple[str, ...] = ("f1",)) -> DataFrame:
+    """Means by mu, one column for each sample and measure (named by the sample alone where there is one measure)."""
+    means = [F.round(F.avg(m), 6).alias(m) for m in measures]
+    return log.where(F.col("sample").isin(samples)).groupBy("algo", "mu").pivot("sample", samples).agg(*means)
 
 
 def dominance(log: DataFrame, ours: str = "two_step", other: str = "entropy_iterated") -> DataFrame:
