@@ -9,11 +9,17 @@ from pyspark.sql import functions as F
 
 from entitygraph.errors import LocalCapExceeded
 
+#: Stop tokens that are broadcast, at most.
+HEAVY = 100_000
+
 
 def cut_stop_tokens(tokens: DataFrame, freqs: DataFrame, sigma: int = 7, bounds: str = "inclusive", freq: str = "c") -> DataFrame:
-    """record_id, pos, token, c of the tokens that are not too frequent."""
+    """record_id, pos, token, c of the tokens that are not too frequent.
+
+    The ``HEAVY`` most frequent of the others, a bounded list, are filtered out where the tokens are read, so that no common token's occurrences meet in one task of the join."""
     limit = F.col(freq) < sigma if bounds == "inclusive" else F.col(freq) <= sigma
-    return tokens.join(freqs.where(limit).select("token", F.col(freq).alias("c")), "token").select("record_id", "pos", "token", "c")
+    heavy = freqs.where(~limit).orderBy(F.desc(freq), "token").limit(HEAVY).select("token")
+    return tokens.join(F.broadcast(heavy), "token", "left_anti").join(freqs.where(limit).select("token", F.col(freq).alias("c")), "token").select("record_id", "pos", "token", "c")
 
 
 def blocking_tokens(kept: DataFrame, beta: int = 6, bounds: str = "inclusive") -> DataFrame:

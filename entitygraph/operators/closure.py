@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from entitygraph.errors import ClosureDidNotConverge, LocalCapExceeded
-from entitygraph.shared import materialise
+from entitygraph.shared import discard, materialise
 
 METHODS = ("alternating_star", "star_merge", "min_label", "local")
 
@@ -65,8 +65,9 @@ def _iterate(edges: DataFrame, step, max_rounds: int) -> tuple[DataFrame, int]:
     for done in range(1, max_rounds + 1):
         if seen[0] == 0:
             return current, done - 1
-        current = materialise(step(current), "closure")
+        before, current = current, materialise(step(current), "closure")
         now = _fingerprint(current)
+        discard(before)
         if now == seen:
             return current, done
         seen = now
@@ -94,11 +95,12 @@ def _min_label(edges: DataFrame, max_rounds: int) -> DataFrame:
     for _ in range(max_rounds):
         heard = both.join(labels.select(F.col("v").alias("n"), "l"), "n").groupBy("v").agg(F.min("l").alias("h"))
         new = materialise(
-            labels.join(heard, "v").select("v", F.least("l", "h").alias("l"), (F.col("h") < F.col("l")).alias("changed")), "labels"
+            labels.select("v", "l").join(heard, "v").select("v", F.least("l", "h").alias("l"), (F.col("h") < F.col("l")).alias("changed")), "labels"
         )
+        discard(labels)
         if new.where("changed").limit(1).count() == 0:
             return new.select(F.col("l").alias("component_id"), F.col("v").alias("record_id"))
-        labels = new.select("v", "l")
+        labels = new
     raise ClosureDidNotConverge(f"no fixed point within {max_rounds} rounds")
 
 

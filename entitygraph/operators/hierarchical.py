@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from entitygraph.operators.closure import closure
+from entitygraph.operators.closure import closure, connected_components
 from entitygraph.operators.louvain import RefineConfig, refine_distributed, refine_local
 from entitygraph.operators.modularity import component_edges
 from entitygraph.shared import materialise
@@ -15,7 +15,9 @@ def refine(edges: DataFrame, cfg: RefineConfig = RefineConfig()) -> DataFrame:
     """component_id, record_id, community, m; large components by the distributed form. Components of one edge have nothing to split and never reach Python."""
     sizes = materialise(edges.groupBy("component_id").agg(F.count("*").alias("n_edges")), "sizes")
     sized = edges.join(sizes, "component_id")
-    small = refine_local(sized.where((F.col("n_edges") > 1) & (F.col("n_edges") <= cfg.local_edge_cap)).drop("n_edges"), cfg).select("component_id", "record_id", "community", "m")
+    local = (F.col("n_edges") > 1) & (F.col("n_edges") <= cfg.local_edge_cap)
+    n_edges = sizes.where(local).agg(F.sum("n_edges")).first()[0] or 0
+    small = refine_local(sized.where(local).drop("n_edges"), cfg, n_edges=n_edges).select("component_id", "record_id", "community", "m")
     if sizes.where(F.col("n_edges") > cfg.local_edge_cap).limit(1).count():
         big = refine_distributed(sized.where(F.col("n_edges") > cfg.local_edge_cap).drop("n_edges"), cfg)
         small = small.unionByName(big.select("component_id", "record_id", "community", "m"))
@@ -60,8 +62,14 @@ def cluster_closure(scored: DataFrame, records: DataFrame, mu: float, method: st
 
 
 def cluster_modularity(scored: DataFrame, records: DataFrame, cfg: RefineConfig = RefineConfig()) -> DataFrame:
-    """Refinement alone, over the whole graph as one component; collapse does not apply."""
-    edges = scored.select(F.lit("").alias("component_id"), F.col("a").alias("u"), F.col("b").alias("v"), F.col("score").alias("w"))
-    n = edges.count()
-    found = refine_local(edges, cfg) if n <= cfg.local_edge_cap else refine_distributed(edges, cfg)
+    """Refinement alone, over the whole graph; collapse does not apply. A node only ever moves to a neighbour's community, and all that a move needs of the rest of the graph is its
+    weight: so the parts that no edge joins are searched by themselves, with the weight of the whole, and nothing is gathered in one task."""
+    components = materialise(connected_components(scored.select("a", "b")), "parts")
+    edges = materialise(component_edges(scored, components), "graph")
+    whole = edges.agg(F.sum("w") if cfg.weighted else F.count("*").cast("double")).first()[0] or 0.0
+    sizes = materialise(edges.groupBy("component_id").agg(F.count("*").alias("n_edges")), "sizes")
+    big = sizes.where(F.col("n_edges") > cfg.local_edge_cap).select("component_id")
+    found = refine_local(edges.join(big, "component_id", "left_anti"), cfg, whole=whole).select("component_id", "record_id", "community")
+    if big.limit(1).count():
+        found = found.unionByName(refine_distributed(edges.join(big, "component_id", "left_semi"), cfg, whole).select("component_id", "record_id", "community"))
     return with_singletons(rename_to_least(found.select("component_id", "record_id", "community")), records)

@@ -11,8 +11,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from entitygraph.operators.modularity import contract, degrees, modularity
-from entitygraph.shared import materialise
+from entitygraph.operators.modularity import contract, degrees, modularity, move_gain
+from entitygraph.shared import discard, materialise
+
+
+#: Edges that one call of the kernel gets, about.
+GROUP_EDGES = 40_000
 
 
 @dataclass(frozen=True)
@@ -26,7 +30,7 @@ class RefineConfig:
     weighted: bool = True
     resolution: float = 1.0
     seed: int = 0
-    local_edge_cap: int = 2_000_000
+    local_edge_cap: int = 500_000
     max_levels: int | None = None
     max_passes: int | None = None
 
@@ -35,9 +39,9 @@ def _order(seed: int, node: str) -> tuple[str, str]:
     return hashlib.md5(f"{seed}:{node}".encode()).hexdigest(), node
 
 
-def louvain(edges: list[tuple[str, str, float]], cfg: RefineConfig = RefineConfig()) -> list[tuple[dict[str, str], float]]:
+def louvain(edges: list[tuple[str, str, float]], cfg: RefineConfig = RefineConfig(), whole: float | None = None) -> list[tuple[dict[str, str], float]]:
     """Levels of (node to community, modularity), from the single nodes on; communities are named by their least node. Deterministic:
-    nodes are visited in the order of a seeded hash, and ties go to the least community."""
+    nodes are visited in the order of a seeded hash, and ties go to the least community. ``whole``: the weight of a graph that these edges are a component of."""
     adjacent: dict[str, dict[str, float]] = {}
     loops: dict[str, float] = {}
     total = 0.0
@@ -54,6 +58,7 @@ def louvain(edges: list[tuple[str, str, float]], cfg: RefineConfig = RefineConfi
     member = {x: x for x in adjacent}
     if total <= 0:
         return [(member, 0.0)]
+    total = total if whole is None else whole
 
     def quality(adj, loop, community) -> float:
         inside, degree = {}, {}
@@ -78,7 +83,7 @@ def louvain(edges: list[tuple[str, str, float]], cfg: RefineConfig = RefineConfi
                     links[community[y]] = links.get(community[y], 0.0) + w
                 own = community[x]
                 degree[own] -= k[x]
-                gain = lambda c: (links.get(c, 0.0) - links.get(own, 0.0)) / total - cfg.resolution * k[x] * (degree[c] - degree[own]) / (2 * total * total)  # noqa: B023, E731
+                gain = lambda c: move_gain(k[x], links.get(c, 0.0), degree[c], links.get(own, 0.0), degree[own], total, cfg.resolution)  # noqa: B023, E731
                 if cfg.move == "first_gain":
                     near = sorted(adjacent[x].items(), key=lambda t: (-t[1], t[0]))
                     best = next((community[y] for y, _ in near if community[y] != own and gain(community[y]) > 1e-12), own)
@@ -127,40 +132,41 @@ class _Reverse:
         return self.name == other.name
 
 
-def refine_local(edges: DataFrame, cfg: RefineConfig = RefineConfig(), all_levels: bool = False) -> DataFrame:
-    """component_id, record_id, community, level, m of components that fit a task; small ones travel together, in one group for each hash
-    bucket, so that a billion small components don't mean a billion calls."""
+def refine_local(edges: DataFrame, cfg: RefineConfig = RefineConfig(), all_levels: bool = False, n_edges: int | None = None, whole: float | None = None) -> DataFrame:
+    """component_id, record_id, community, level, m of components that fit a task; small ones travel together, about ``GROUP_EDGES`` edges a call,
+    so that a billion small components don't mean a billion calls and no call grows with the input."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         out = []
         for component, part in rows.groupby("component_id"):
-            levels = louvain(list(zip(part.u, part.v, part.w, strict=True)), cfg)
+            levels = louvain(list(zip(part.u, part.v, part.w, strict=True)), cfg, whole)
             for level, (member, m) in list(enumerate(levels))[0 if all_levels else -1 :]:
                 out += [(component, x, c, level, m) for x, c in member.items()]
         return pd.DataFrame(out, columns=["component_id", "record_id", "community", "level", "m"])
 
     sized = edges.groupBy("component_id").agg(F.count("*").alias("n"))
-    bucket = F.when(F.col("n") > 10_000, F.xxhash64("component_id")).otherwise(F.pmod(F.xxhash64("component_id"), F.lit(4096)))
+    groups = max(64, -(-(edges.count() if n_edges is None else n_edges) // GROUP_EDGES))
+    bucket = F.when(F.col("n") > GROUP_EDGES // 4, F.xxhash64("component_id")).otherwise(F.pmod(F.xxhash64("component_id"), F.lit(groups)))
     dealt = edges.join(sized, "component_id").withColumn("bucket", bucket)
     return dealt.groupBy("bucket").applyInPandas(run, "component_id string, record_id string, community string, level int, m double")
 
 
-def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig()) -> DataFrame:
+def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig(), whole: float | None = None) -> DataFrame:
     """The same search with nodes moving in parallel: in each pass the nodes of one hash parity move, of two communities that would swap
     only toward the lesser, and a pass that lowers a component's modularity is taken back. component_id, record_id, community, level, m."""
     if not cfg.weighted:
         edges = edges.withColumn("w", F.lit(1.0))
     graph = materialise(edges, "graph")
     names = materialise(degrees(graph).select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
-    best = _quality(graph, names, cfg)
+    best = _quality(graph, names, cfg, whole)
     level = 0
     for _ in count() if cfg.max_levels is None else range(cfg.max_levels):
         nodes = materialise(degrees(graph), "nodes")
         assign = materialise(nodes.select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
-        score, idle = _quality(graph, assign, cfg), 0
+        score, idle = _quality(graph, assign, cfg, whole), 0
         for step in count() if cfg.max_passes is None else range(cfg.max_passes):
-            moved = materialise(_one_pass(graph, nodes, assign, cfg, step), "assign")
-            new = _quality(graph, moved, cfg)
+            moved = materialise(_one_pass(graph, nodes, assign, cfg, step, whole), "assign")
+            new = _quality(graph, moved, cfg, whole)
             worse = new.select("component_id", F.col("m").alias("new")).join(score.select("component_id", "m"), "component_id").where("new <= m + 1e-9").select("component_id", F.lit(True).alias("worse"))
             kept = (
                 moved.join(assign.withColumnRenamed("community", "old"), ["component_id", "record_id"])
@@ -170,7 +176,9 @@ def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig()) ->
             kept = materialise(kept, "assign")
             idle = 0 if kept.where("gained").limit(1).count() else idle + 1
             assign = kept.select("component_id", "record_id", "community")
-            score = _quality(graph, assign, cfg)
+            after = score.select("component_id", F.col("m").alias("old")).join(new, "component_id", "left")
+            score = materialise(after.select("component_id", F.when(F.col("m") > F.col("old") + 1e-9, F.col("m")).otherwise(F.col("old")).alias("m")), "quality")
+            discard(moved)
             if idle == 2:
                 break
         least = assign.groupBy("component_id", "community").agg(F.min("record_id").alias("least"))
@@ -186,13 +194,13 @@ def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig()) ->
     return names.join(best, "component_id").select("component_id", "record_id", "community", F.lit(level).alias("level"), "m")
 
 
-def _quality(graph: DataFrame, assign: DataFrame, cfg: RefineConfig) -> DataFrame:
-    return materialise(modularity(graph, assign, resolution=cfg.resolution), "quality")
+def _quality(graph: DataFrame, assign: DataFrame, cfg: RefineConfig, whole: float | None) -> DataFrame:
+    return materialise(modularity(graph, assign, resolution=cfg.resolution, total=whole), "quality")
 
 
-def _one_pass(graph: DataFrame, nodes: DataFrame, assign: DataFrame, cfg: RefineConfig, step: int) -> DataFrame:
+def _one_pass(graph: DataFrame, nodes: DataFrame, assign: DataFrame, cfg: RefineConfig, step: int, whole: float | None) -> DataFrame:
     key = ["component_id", "record_id"]
-    total = graph.groupBy("component_id").agg(F.sum("w").alias("total"))
+    total = graph.groupBy("component_id").agg((F.sum("w") if whole is None else F.lit(float(whole))).alias("total"))
     own = nodes.join(assign, key)
     degree = own.groupBy("component_id", "community").agg(F.sum("k").alias("d"))
     cross = graph.where("u != v")
@@ -203,7 +211,7 @@ def _one_pass(graph: DataFrame, nodes: DataFrame, assign: DataFrame, cfg: Refine
     state = state.join(total, "component_id").select(*key, "community", "k", "total", (F.col("d") - F.col("k")).alias("d_own"), F.coalesce("k_own", F.lit(0.0)).alias("k_own"))
     parity = F.pmod(F.xxhash64(F.lit(cfg.seed), "record_id"), F.lit(2)) == step % 2
     options = links.join(state.where(parity), key).where("to != community").join(degree.withColumnRenamed("community", "to").withColumnRenamed("d", "d_to"), ["component_id", "to"])
-    gain = (F.col("k_to") - F.col("k_own")) / F.col("total") - F.lit(cfg.resolution) * F.col("k") * (F.col("d_to") - F.col("d_own")) / (2 * F.col("total") * F.col("total"))
+    gain = move_gain(*[F.col(c) for c in ("k", "k_to", "d_to", "k_own", "d_own", "total")], cfg.resolution)
     choice = options.withColumn("gain", F.round(gain, 12)).where("gain > 0").groupBy(*key).agg(F.min_by("to", F.struct(-F.col("gain"), F.col("to"))).alias("to"))
     wish = assign.join(choice, key).select(*key, "community", "to")
     back = wish.select("component_id", F.col("community").alias("to"), F.col("to").alias("community")).distinct().withColumn("swap", F.lit(True))

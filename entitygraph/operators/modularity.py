@@ -5,9 +5,11 @@ Assignments are (component_id, record_id, community)."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from entitygraph.errors import LocalCapExceeded
+
 
 def component_edges(scored: DataFrame, components: DataFrame, refine_edges: str = "scored", mu: float | None = None) -> DataFrame:
     """The scored pairs inside one component: the complete graph without the pairs that were never scored, which never exists as such."""
@@ -24,8 +26,9 @@ def degrees(edges: DataFrame) -> DataFrame:
     return ends.groupBy("component_id", "record_id").agg(F.sum("w").alias("k"))
 
 
-def modularity(edges: DataFrame, assign: DataFrame, weighted: bool = True, resolution: float = 1.0) -> DataFrame:
-    """component_id, m: sum over communities of inside share less the squared degree share; components without weight are left out."""
+def modularity(edges: DataFrame, assign: DataFrame, weighted: bool = True, resolution: float = 1.0, total: float | None = None) -> DataFrame:
+    """component_id, m: sum over communities of inside share less the squared degree share; components without weight are left out.
+    ``total`` is the weight of a whole graph that the components are parts of; else each is a graph of its own."""
     if not weighted:
         edges = edges.withColumn("w", F.lit(1.0))
     left = assign.select("component_id", F.col("record_id").alias("u"), F.col("community").alias("cu"))
@@ -36,13 +39,16 @@ def modularity(edges: DataFrame, assign: DataFrame, weighted: bool = True, resol
         F.struct(F.col("cv").alias("c"), F.lit(0.0).alias("inside"), F.col("w").alias("d")),
     )).alias("x"))
     per = halves.groupBy("component_id", "x.c").agg(F.sum("x.inside").alias("inside"), F.sum("x.d").alias("d"))
-    whole = edges.groupBy("component_id").agg(F.sum("w").alias("total"))
+    whole = edges.groupBy("component_id").agg((F.sum("w") if total is None else F.lit(float(total))).alias("total"))
     share = F.col("inside") / F.col("total") - F.lit(resolution) * F.pow(F.col("d") / (2 * F.col("total")), 2)
     return per.join(whole.where("total > 0"), "component_id").groupBy("component_id").agg(F.sum(share).alias("m"))
 
 
-def modularity_dense(edges: DataFrame, assign: DataFrame) -> DataFrame:
-    """The double sum over ordered pairs of nodes, for small graphs without loops."""
+def modularity_dense(edges: DataFrame, assign: DataFrame, max_nodes: int = 2000) -> DataFrame:
+    """The double sum over ordered pairs of nodes, for reference on graphs without loops; refuses components of more than ``max_nodes`` nodes."""
+    largest = assign.groupBy("component_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+    if largest > max_nodes:
+        raise LocalCapExceeded(f"{largest} nodes, at most {max_nodes} for the double sum")
     k = degrees(edges)
     whole = edges.groupBy("component_id").agg(F.sum("w").alias("total"))
     nodes = assign.join(k, ["component_id", "record_id"])
@@ -54,9 +60,9 @@ def modularity_dense(edges: DataFrame, assign: DataFrame) -> DataFrame:
     return same.groupBy("component_id").agg((F.sum(term) / (2 * F.max("total"))).alias("m"))
 
 
-def move_gain(k_i: Column, k_to: Column, d_to: Column, k_own: Column, d_own: Column, total: Column, resolution: float = 1.0) -> Column:
-    """Gain of moving a node from its community to another; d_own leaves the node out, and k_to, k_own are its links to either."""
-    return (k_to - k_own) / total - F.lit(resolution) * k_i * (d_to - d_own) / (2 * total * total)
+def move_gain(k_i, k_to, d_to, k_own, d_own, total, resolution: float = 1.0):
+    """Gain of moving a node from its community to another; d_own leaves the node out, and k_to, k_own are its links to either. For columns and for numbers alike."""
+    return (k_to - k_own) / total - resolution * k_i * (d_to - d_own) / (2 * total * total)
 
 
 def contract(edges: DataFrame, assign: DataFrame) -> DataFrame:
@@ -68,13 +74,17 @@ def contract(edges: DataFrame, assign: DataFrame) -> DataFrame:
 
 
 def graph_profile(edges: DataFrame) -> DataFrame:
-    """Per component: nodes, edges, density, largest degree, triangles (each counted at its ordered path of two edges)."""
+    """Per component: nodes, edges, density, largest degree, triangles (each counted once, from its node of the least degree on, so that a hub is nobody's first node)."""
     e = edges.select("component_id", F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u != v").distinct()
     ends = e.select("component_id", F.col("u").alias("x")).union(e.select("component_id", F.col("v").alias("x")))
     deg = ends.groupBy("component_id", "x").agg(F.count("*").alias("d"))
     nodes = deg.groupBy("component_id").agg(F.count("*").alias("nodes"), F.max("d").alias("max_degree"))
     count = e.groupBy("component_id").agg(F.count("*").alias("edges"))
-    paths = e.alias("p").join(e.select("component_id", F.col("u").alias("v"), F.col("v").alias("x")), ["component_id", "v"])
+    ends_of = lambda x: deg.select("component_id", F.col("x").alias(x), F.col("d").alias(f"d{x}"))
+    ranked = e.join(ends_of("u"), ["component_id", "u"]).join(ends_of("v"), ["component_id", "v"])
+    up = (F.col("du") < F.col("dv")) | ((F.col("du") == F.col("dv")) & (F.col("u") < F.col("v")))
+    e = ranked.select("component_id", F.when(up, F.col("u")).otherwise(F.col("v")).alias("u"), F.when(up, F.col("v")).otherwise(F.col("u")).alias("v"))
+    paths = e.join(e.select("component_id", F.col("u").alias("v"), F.col("v").alias("x")), ["component_id", "v"])
     closed = paths.join(e.select("component_id", "u", F.col("v").alias("x")), ["component_id", "u", "x"])
     triangles = closed.groupBy("component_id").agg(F.count("*").alias("triangles"))
     return (

@@ -59,7 +59,7 @@ cell AS (SELECT a, b, x.pos AS i, y.pos AS j, 1.0 - CAST(levenshtein(x.token, y.
          FROM pairs JOIN kept x ON x.record_id = a JOIN kept y ON y.record_id = b),
 rowm AS (SELECT a, b, sum(m) AS rs, count(*) AS rn FROM (SELECT a, b, i, max(s) AS m FROM cell GROUP BY ALL) q GROUP BY a, b),
 colm AS (SELECT a, b, sum(m) AS cs, count(*) AS cn FROM (SELECT a, b, j, max(s) AS m FROM cell GROUP BY ALL) q GROUP BY a, b),
-scored AS (SELECT a, b, round({score}, 6) AS score FROM rowm JOIN colm USING (a, b))"""
+scored AS (SELECT a, b, round(round({score}, 9), 6) AS score FROM rowm JOIN colm USING (a, b))"""
 
 
 def _closure(mu: float = MU, edges: str = "scored") -> str:
@@ -259,13 +259,13 @@ for _m, _sql in {
     "m5_idf_cosine",
     _with(
         _REFS, _TOK, "wt AS (SELECT DISTINCT record_id, token, ln(1000.0 / df) AS w FROM tok JOIN freq USING (token)), nm AS (SELECT record_id, sqrt(sum(w * w)) AS n FROM wt GROUP BY record_id)",
-        select="""SELECT a, b, CAST(round(round(sum(x.w * y.w) / (max(p.n) * max(q.n)), 6), 5) AS DOUBLE) AS score FROM pairs JOIN wt x ON x.record_id = a JOIN wt y ON y.record_id = b AND y.token = x.token
+        select="""SELECT a, b, CAST(round(sum(x.w * y.w) / (max(p.n) * max(q.n)), 6) AS DOUBLE) AS score FROM pairs JOIN wt x ON x.record_id = a JOIN wt y ON y.record_id = b AND y.token = x.token
         JOIN nm p ON p.record_id = a JOIN nm q ON q.record_id = b GROUP BY a, b""",
     ),
 )
 def _(spark, sf):
     tokens, freqs = _tokens(spark, sf)
-    return ma.idf_cosine(bl.candidate_pairs(_blocked(spark, sf)[1]), tokens, freqs, _refs(spark, sf).count()).select("a", "b", F.round("score", 5).alias("score"))
+    return ma.idf_cosine(bl.candidate_pairs(_blocked(spark, sf)[1]), tokens, freqs, _refs(spark, sf).count()).select("a", "b", F.round("score", 6).alias("score"))
 
 
 @query("m7_rule_pairs", _with(_REFS, _TOK, _LISTS, select=f"SELECT a, b FROM pl WHERE {_COMMON} >= 3"))
@@ -306,13 +306,13 @@ def _copurchase(spark, sf, only="true"):
     return left.join(right, "l_orderkey").where("a < b").groupBy("a", "b").agg(F.count("*").cast("double").alias("score"))
 
 
-@query("w9_copurchase_components", _with(_COPURCHASE, "refs AS (SELECT DISTINCT a AS record_id FROM scored)", _closure(0.0), select="SELECT component_id, record_id FROM comp"))
+@query("w9_copurchase_slice", _with(_COPURCHASE, "refs AS (SELECT DISTINCT a AS record_id FROM scored)", _closure(0.0), select="SELECT component_id, record_id FROM comp"))
 def _(spark, sf):
-    """The slice of the orders that the recursive SQL can follow; the whole graph is w9_copurchase_whole."""
+    """A named slice of the orders, small enough for the recursive SQL to follow; the workload is w9_copurchase_components."""
     return cl.closure(_copurchase(spark, sf, "l_orderkey % 40 = 1 and l_partkey % 7 < 3"), 0.0)
 
 
-@query("w9_copurchase_whole")
+@query("w9_copurchase_components")
 def _(spark, sf):
     """All orders and parts, which make one giant component; no SQL twin, as recursion holds a row for each pair that is reached."""
     return cl.closure(_copurchase(spark, sf), 0.0)
@@ -420,8 +420,11 @@ def link_index_query(spark, sf):
 def _(spark, sf):
     """Every record once, clusters named by their least member, none across soft clusters."""
     scored, refs = _scored(spark, sf)
-    found = materialise(cluster(scored, refs, ResolveConfig(mu=MU)), "clusters")
-    soft = cl.closure(scored, MU).select("record_id", "component_id")
+    return invariants(cluster(scored, refs, ResolveConfig(mu=MU)), cl.closure(scored, MU))
+
+
+def invariants(found: DataFrame, soft: DataFrame) -> DataFrame:
+    found, soft = materialise(found, "clusters"), soft.select("record_id", "component_id")
     least = found.groupBy("cluster_id").agg(F.min("record_id").alias("m"))
     joined = found.join(soft, "record_id", "left").groupBy("cluster_id").agg(F.count_distinct(F.coalesce("component_id", "record_id")).alias("n"))
     counts = found.agg(F.count("*").alias("records"), F.count_distinct("record_id").alias("distinct_records"))
@@ -620,27 +623,14 @@ def _(spark, sf):
 
 
 def _mu_sweep_sql() -> str:
-    runs = " UNION ALL ".join(f"SELECT {m / 10} AS mu, * FROM ({_with(*_SCORED, _closure(m / 10), _CELLS, _CONFUSION, select=_metrics_sql('({a} + {b}) / 2'))}) q{m}" for m in (5, 6, 7, 8, 9))
+    runs = " UNION ALL ".join(f"SELECT {m / 10} AS mu, * FROM ({_with(*_SCORED, _closure(m / 10), _CELLS, _CONFUSION, select=_metrics_sql('({a} + {b}) / 2'))}) q{m}" for m in range(1, 10))
     return f"SELECT CAST(mu AS DOUBLE) AS mu, precision, recall, f1, bal_acc FROM ({runs}) z"
 
 
 @query("w1_closure_mu_sweep", _mu_sweep_sql())
 def _(spark, sf):
     refs = _refs(spark, sf)
-    return sweep(spark, [(SAMPLES["S8"], refs)], (0.5, 0.6, 0.7, 0.8, 0.9), clusterers=("closure",)).select("mu", "precision", "recall", "f1", "bal_acc")
-
-
-@query("w1_two_step_mu_sweep")
-def _(spark, sf):
-    return sweep(spark, [(SAMPLES["S2"], _refs(spark, sf, "S2"))]).drop("seconds")
-
-
-@query("w3_table_of_best_runs")
-def _(spark, sf):
-    """Two-step against the baseline on the small samples: best runs, averages and gains."""
-    samples = [(SAMPLES[s], _refs(spark, sf, s)) for s in ("S1", "S2")]
-    log = materialise(sweep(spark, samples, (0.5, 0.7), (0.5, 0.8)), "log")
-    return ev.summarise(ev.best_run(log)).drop("seconds")
+    return sweep(spark, [(SAMPLES["S8"], refs)], clusterers=("closure",)).select("mu", "precision", "recall", "f1", "bal_acc")
 
 
 _DOCS_SQL = f"refs AS (SELECT lpad(CAST(doc_id AS VARCHAR), 12, '0') AS record_id, list_distinct(list_filter(string_split({_ASCII.format(c='text')}, ' '), lambda x: x <> '')) AS t FROM documents)"
@@ -697,8 +687,11 @@ def _over_all(f):
     return build
 
 
-_ON_DEFAULT = ("p0_references", "p6_", "p7_", "p8_", *(f"k{i}_" for i in range(1, 9)), "m", *(f"c{i}_" for i in range(1, 17)), "b1_", "b2_", *(f"e{i}_" for i in range(1, 6)), "e15_", "w12_")
+_ON_DEFAULT = ("p0_references", "p6_", "p7_", "p8_", *(f"k{i}_" for i in range(1, 9)), "m2_", "m3_", "m4_", "m5_", "m7_", *(f"c{i}_" for i in range(1, 17)), "b1_", "b2_", *(f"e{i}_" for i in range(1, 6)), "e15_", "w12_two_phase", "w12_above_mu", "w12_strict_bounds")
 _OTHER = ("p0_references_mixed", "p0_references_business", "c13_link_index")  # samples of their own
-for _n, _f in list(QUERIES.items()):
-    if _n.startswith(_ON_DEFAULT) and _n not in _OTHER:
-        QUERIES[f"{_n}_whole"] = _over_all(_f)
+
+
+def add_whole_forms() -> None:
+    for name, f in list(QUERIES.items()):
+        if name.startswith(_ON_DEFAULT) and name not in _OTHER and not name.endswith(("_whole", "_invariants", "_communities", "_to_local")):
+            QUERIES[f"{name}_whole"] = _over_all(f)

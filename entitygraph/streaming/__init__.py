@@ -1,0 +1 @@
+"""Streams: windows over events, and references that arrive in batches."""
