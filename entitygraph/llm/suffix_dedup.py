@@ -2,15 +2,18 @@
 
 The construction is blockwise, with a locally consistent difference cover. A text position belongs to the cover if its
 ``GRAM``-byte string has the least hash among those of a ``length``-byte window (the leftmost of equals), so that two windows
-with equal bytes hold a cover position at the same shift: the property that a difference cover gives to long ties. All
-suffixes that start with the same cover gram form one suffix bucket. The windows that share a cover position form a run; the
-hash of a run's bytes is its rank within the bucket. Runs of equal rank tie over their whole length, so one comparison of
-ranks settles all their windows and only the first of each rank stays. Buckets with more than one rank are the long ties
-that the ranks leave open: the first run of each rank is refined, in blocks of windows and then window by window. Memory is bounded by one slice of
-``SLICE`` bytes; buckets are Spark groups with map-side combination and a splittable join, so a bucket may hold any share of
-the corpus.
+with equal bytes hold a cover position at the same shift: the property that a difference cover gives to long ties. (A cover of fixed residues has it too, but at the
+sparsest that a window allows it keeps one position in eight, this one about one in forty.)
 
-Keys are 64-bit hashes of random byte values; a false tie needs a collision within a bucket whose own key is a second 64-bit hash."""
+The suffixes at cover positions are sorted: by their first eight bytes, which range partitioning cuts into blocks of the suffix array, one a task; then by the name of their
+whole gram, and then, where they tie beyond it, by a rank of the cover sample that is computed beforehand: the name of all that the windows around the cover position (a run) hold together.
+In that order equals are neighbours. Runs of equal rank tie over their whole length, so comparing neighbours settles all their windows and only the first of each rank stays. Neighbours that share a gram
+but not a rank are the long ties that the ranks leave open: their runs are refined and sorted again, in blocks of windows and then window by window.
+
+A block of the array is read in one pass with two rows in memory, and what it cannot know, whether its first and last groups go on in the blocks beside it, is settled from two rows a block. So a
+group of equal suffixes may hold any share of the corpus, and is cut like any other range.
+
+Names are 64-bit hashes of random byte values; a false tie needs a collision within a bucket whose own key is a second 64-bit hash."""
 
 from __future__ import annotations
 
@@ -19,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -89,9 +93,9 @@ def pieces(offsets: np.ndarray, length: int) -> Iterator[tuple[int, int, np.ndar
 
 
 def cover_runs(data: np.ndarray, starts: np.ndarray, length: int):
-    """(bucket, rank, text index, first window, number of windows, shift to the cover position) of every run of windows with one cover position.
-    starts: where the texts of the slice begin, ascending."""
-    none = (np.empty(0, np.int64),) * 6
+    """(head, bucket, rank, text index, first window, number of windows, shift to the cover position) of every run of windows with one cover position; head is the first eight bytes of the
+    suffix there, as a number in their order. starts: where the texts of the slice begin, ascending."""
+    none = (np.empty(0, np.int64),) * 7
     width = length - GRAM + 1
     if len(data) < length:
         return none
@@ -126,7 +130,8 @@ def cover_runs(data: np.ndarray, starts: np.ndarray, length: int):
     size = stop - first + length - 1
     at = cover[first]
     rank = mixed((sums[first + size] - sums[first]) * p.down[first] + (at - first).astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D) + size.astype(np.uint64))
-    return h[at].view(np.int64), rank.view(np.int64), text, first, stop - first, at - first
+    head = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(data, 8)[at]).view(">u8").ravel().astype(np.uint64) ^ np.uint64(1 << 63)
+    return head.view(np.int64), h[at].view(np.int64), rank.view(np.int64), text, first, stop - first, at - first
 
 
 def _binary(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -145,11 +150,11 @@ def _runs(length: int):
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             offsets, data = _binary(batch.column(1))
             for lo, hi, rows, starts, shift in pieces(offsets, length):
-                bucket, rank, text, first, n, at = cover_runs(data[lo:hi], starts, length)
+                head, bucket, rank, text, first, n, at = cover_runs(data[lo:hi], starts, length)
                 if len(first):
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(bucket), pa.array(rank), pa.array(ids[rows[text]]), pa.array(first - starts[text] + shift[text]), pa.array(n.astype(np.int32)), pa.array(at.astype(np.int32))],
-                        ["bucket", "rank", "doc_id", "lo", "n", "at"],
+                        [pa.array(head), pa.array(bucket), pa.array(rank), pa.array(ids[rows[text]]), pa.array(first - starts[text] + shift[text]), pa.array(n.astype(np.int32)), pa.array(at.astype(np.int32))],
+                        ["head", "bucket", "rank", "doc_id", "lo", "n", "at"],
                     )
 
     return run
@@ -170,9 +175,9 @@ def _blocks(length: int):
                 if not asked[i].is_valid:
                     continue
                 runs = asked.slice(i, 1).flatten()
-                lo, n, at, bucket = (runs.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(4))
+                lo, n, at, bucket, head = (runs.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(5))
                 order = np.argsort(lo)
-                lo, n, at, bucket = lo[order], n[order], at[order], bucket[order]
+                lo, n, at, bucket, head = lo[order], n[order], at[order], bucket[order], head[order]
                 text = data[offsets[i] : offsets[i + 1]]
                 k = 0
                 while k < len(lo):  # runs within SLICE bytes at a time
@@ -190,7 +195,7 @@ def _blocks(length: int):
                     middle = lo[own] + at[own] - base - BLOCK * g  # where the last possible window of the block starts
                     inner = mixed((sums[middle + core] - sums[middle]) * p.down[middle] + g.astype(np.uint64) * np.uint64(0x9FB21C651E98DF25))
                     outer = mixed((sums[begin + number + length - 1] - sums[begin]) * p.down[begin] + (middle - begin).astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D) + number.astype(np.uint64))
-                    held.append((inner ^ bucket[own].view(np.uint64), outer, np.full(len(own), ids[i]), begin + base, number))
+                    held.append((head[own], inner ^ bucket[own].view(np.uint64), outer, np.full(len(own), ids[i]), begin + base, number))
                     size += len(start)
                     k = last
                     if size > 200_000:
@@ -203,9 +208,10 @@ def _blocks(length: int):
 
 
 def _block_batch(held: list[tuple]) -> pa.RecordBatch:
-    bucket, rank, doc, lo, n = (np.concatenate(x) for x in zip(*held, strict=True))
+    head, bucket, rank, doc, lo, n = (np.concatenate(x) for x in zip(*held, strict=True))
     return pa.RecordBatch.from_arrays(
-        [pa.array(bucket.view(np.int64)), pa.array(rank.view(np.int64)), pa.array(doc), pa.array(lo), pa.array(n.astype(np.int32))], ["bucket", "rank", "doc_id", "lo", "n"]
+        [pa.array(head), pa.array(bucket.view(np.int64)), pa.array(rank.view(np.int64)), pa.array(doc), pa.array(lo), pa.array(n.astype(np.int32)), pa.array(np.zeros(len(n), np.int32))],
+        ["head", "bucket", "rank", "doc_id", "lo", "n", "at"],
     )
 
 
@@ -221,9 +227,9 @@ def _windows(length: int):
                 if not asked[i].is_valid:
                     continue
                 blocks = asked.slice(i, 1).flatten()
-                lo, n, bucket = (blocks.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in range(3))
+                lo, n, bucket, head = (blocks.field(k).to_numpy(zero_copy_only=False).astype(np.int64) for k in (0, 1, 3, 4))
                 order = np.argsort(lo)
-                lo, n, bucket = lo[order], n[order], bucket[order]
+                lo, n, bucket, head = lo[order], n[order], bucket[order], head[order]
                 text = data[offsets[i] : offsets[i + 1]]
                 k = 0
                 while k < len(lo):
@@ -233,55 +239,114 @@ def _windows(length: int):
                     start = np.repeat(lo[k:last] - base - np.cumsum(count) + count, count) + np.arange(count.sum())
                     h = mixed((sums[start + length] - sums[start]) * p.down[start])
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.repeat(bucket[k:last], count)), pa.array(h.view(np.int64)), pa.array(np.full(len(h), ids[i])), pa.array(start + base)],
-                        ["bucket", "rank", "doc_id", "lo"],
+                        [pa.array(np.repeat(head[k:last], count)), pa.array(np.repeat(bucket[k:last], count)), pa.array(h.view(np.int64)), pa.array(np.full(len(h), ids[i])), pa.array(start + base),
+                         pa.array(np.ones(len(h), np.int32)), pa.array(np.zeros(len(h), np.int32))],
+                        ["head", "bucket", "rank", "doc_id", "lo", "n", "at"],
                     )
                     k = last
 
     return run
 
 
+UNIT = "head long, bucket long, rank long, doc_id long, lo long, n int, at int"
+NAMES = ("head", "bucket", "rank", "doc_id", "lo", "n", "at")
+SETTLED, OPEN, FIRST, SECOND, LAST, LAST_SHARING = range(6)
+
+
+def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One block of the sorted units. Those that are not the first of their rank are settled; firsts that share a bucket with the first before or after them are open.
+    The block's own first, second and last firsts are told as well: whether its first and last go on in the blocks beside it is decided from them."""
+    part = TaskContext.get().partitionId()
+    key: np.ndarray | None = None  # of the last row
+    before, shares, seen = None, False, 0  # the last first, whether it shares the bucket of the one before it, firsts so far
+
+    def told(kind: int, columns: np.ndarray) -> pa.RecordBatch:
+        size = columns.shape[1]
+        arrays = [pa.array(np.full(size, k, np.int32)) for k in (part, kind)]
+        arrays += [pa.array(c.astype(np.int32 if name in ("n", "at") else np.int64)) for name, c in zip(NAMES, columns, strict=True)]
+        return pa.RecordBatch.from_arrays(arrays, ["part", "kind", *NAMES])
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        columns = np.stack([c.to_numpy().astype(np.int64) for c in batch.columns])
+        again = np.append(key is not None and bool((columns[:3, 0] == key).all()), (columns[:3, 1:] == columns[:3, :-1]).all(axis=0))
+        key = columns[:3, -1].copy()
+        if again.any():
+            yield told(SETTLED, columns[:, again])
+        firsts = columns[:, ~again]
+        if not firsts.shape[1]:
+            continue
+        for kind, i in ((FIRST, -seen), (SECOND, 1 - seen)):
+            if 0 <= i < firsts.shape[1]:
+                yield told(kind, firsts[:, i : i + 1])
+        chain = firsts if before is None else np.column_stack([before, firsts])
+        joined = (chain[:2, 1:] == chain[:2, :-1]).all(axis=0)
+        sharing = np.append(shares, joined)
+        open_ = sharing[:-1] | joined  # of all but the last
+        if seen <= 1 and len(open_) and (before is None or seen == 1):
+            open_[0] = False  # the block's own first
+        if open_.any():
+            yield told(OPEN, chain[:, :-1][:, open_])
+        before, shares = chain[:, -1].copy(), bool(sharing[-1])
+        seen += firsts.shape[1]
+    if seen > 1:
+        yield told(LAST_SHARING if shares else LAST, before[:, None])
+
+
+def _across(rows: list) -> list[tuple[int, tuple]]:
+    """(kind, unit) of the first and last firsts of all blocks, whose order is that of their numbers. rows: three a block at most."""
+    blocks: dict[int, dict[int, tuple]] = {}
+    for r in rows:
+        blocks.setdefault(r["part"], {})[r["kind"]] = tuple(r[n] for n in NAMES)
+    out: list[tuple[int, tuple]] = []
+    pending: tuple | None = None  # a first whose next one is not yet known
+    shares = False
+
+    def meet(following: tuple) -> None:
+        if pending is not None and (shares or pending[:2] == following[:2]):
+            out.append((OPEN, pending))
+
+    for part in sorted(blocks):
+        told = blocks[part]
+        first, second = told[FIRST], told.get(SECOND)
+        if pending is not None and first[:3] == pending[:3]:
+            out.append((SETTLED, first))
+        else:
+            meet(first)
+            pending, shares = first, pending is not None and pending[:2] == first[:2]
+        if second is not None:
+            meet(second)
+            pending, shares = (told[LAST_SHARING], True) if LAST_SHARING in told else (told[LAST], False)
+    if pending is not None and shares:
+        out.append((OPEN, pending))
+    return out
+
+
 def _settle(units: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
-    """Of units in buckets: the windows of those that are not the first of their rank, and the first of each rank in buckets of several."""
-    often = units.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
-    tied = materialise(units.join(often, "bucket"), f"{name}-tied")
-    release(units.sparkSession)
-    extra = ["at"] if "at" in units.columns else []
-    ranked = materialise(
-        tied.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo", "n", *extra)).alias("first"), F.count("*").alias("c")), f"{name}-ranks"
-    )
-    again = ranked.where("c > 1").select("bucket", "rank", F.col("first.doc_id").alias("d"), F.col("first.lo").alias("l"))
-    settled = materialise(tied.select("bucket", "rank", "doc_id", "lo", "n").join(again, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n"), f"{name}-settled")
-    several = ranked.groupBy("bucket").agg(F.count("*").alias("ranks")).where("ranks > 1").select("bucket")
-    left = materialise(ranked.join(several, "bucket").select("bucket", "first.*"), f"{name}-open")
-    discard(tied)
-    discard(ranked)
+    """Of sorted units: the windows of those that are not the first of their rank, and the first of each rank in buckets of several."""
+    key = ["head", "bucket", "rank", "doc_id", "lo"]
+    array = units.repartitionByRange(*key).sortWithinPartitions(*key)
+    told = materialise(array.select(*NAMES).mapInArrow(_neighbours, f"part int, kind int, {UNIT}"), f"{name}-array")
     release(units.sparkSession)
-    return settled, left
+    edges = _across(told.where(F.col("kind") >= FIRST).collect())  # three rows a block of the array at most
+    small = units.sparkSession.createDataFrame([(k, *r) for k, r in edges], f"kind int, {UNIT}")
+    every = told.where(F.col("kind") < FIRST).select("kind", *NAMES).unionByName(small)
+    return every.where(F.col("kind") == SETTLED).select("doc_id", "lo", "n"), every.where(F.col("kind") == OPEN).select(*NAMES)
 
 
 def repeated_windows(texts: DataFrame, length: int = 100) -> DataFrame:
     """(doc_id, lo, n): runs of n windows of ``length`` bytes, from byte lo on, that occur with an earlier start as well.
     texts: doc_id, binary text. Ties are settled for whole runs, then for blocks of the open ones, then for the windows of the open blocks."""
-    runs = texts.mapInArrow(_runs(length), "bucket long, rank long, doc_id long, lo long, n int, at int")
-    settled, left = _settle(runs, "runs")
-    asked = left.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "at", "bucket")).alias("asked"))
-    kind = "bucket long, rank long, doc_id long, lo long, n int"
-    blocks = materialise(texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_blocks(length), kind), "blocks")
-    discard(left)
-    release(texts.sparkSession)
-    in_blocks, open_blocks = _settle(blocks, "blocks")
-    discard(blocks)
-    asked = open_blocks.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "bucket")).alias("asked"))
-    kind = "bucket long, rank long, doc_id long, lo long"
-    windows = materialise(texts.join(asked, "doc_id", "left").select("doc_id", "text", "asked").mapInArrow(_windows(length), kind), "windows")
-    windows = windows.withColumn("n", F.lit(1))
-    release(texts.sparkSession)
-    firsts = windows.groupBy("bucket", "rank").agg(F.min(F.struct("doc_id", "lo")).alias("f"), F.count("*").alias("c")).where("c > 1")
-    firsts = firsts.select("bucket", "rank", F.col("f.doc_id").alias("d"), F.col("f.lo").alias("l"))
-    single = materialise(windows.join(firsts, ["bucket", "rank"]).where("doc_id != d or lo != l").select("doc_id", "lo", "n"), "windows-settled")
-    release(texts.sparkSession)
-    return settled.union(in_blocks).union(single)
+    settled, left = _settle(texts.mapInArrow(_runs(length), UNIT), "runs")
+    for refined, name in ((_blocks, "blocks"), (_windows, "windows")):
+        asked = left.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "n", "at", "bucket", "head")).alias("asked"))
+        units = materialise(texts.join(asked, "doc_id").select("doc_id", "text", "asked").mapInArrow(refined(length), UNIT), name)
+        release(texts.sparkSession)
+        more, left = _settle(units, name)
+        discard(units)
+        settled = settled.union(more)
+    return settled
 
 
 def covered(lo: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:

@@ -5,6 +5,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from entitygraph.llm import decontaminate, html_text, packing, pii, quality, simhash, suffix_dedup, token_files, toxicity, vector_join
@@ -47,11 +48,32 @@ def test_suffix_dedup(spark):
         assert (got[i]["n_bytes"], got[i]["n_removed"], got[i]["n_spans"], got[i]["kept_sha256"]) == want, i
 
 
+def test_blocks_of_the_array_meet(spark, monkeypatch):
+    """However the sorted units are cut into blocks, the same are settled and open."""
+    r = np.random.default_rng(1)
+    for trial in range(60):
+        n = int(r.integers(1, 30))
+        units = sorted({(0, int(r.integers(0, 3)), int(r.integers(0, 3)), int(d), 0, 1, 0) for d in r.integers(0, 50, n)})
+        cuts = sorted({0, len(units), *r.integers(0, len(units) + 1, int(r.integers(0, 6))).tolist()})
+        out, edges = [], []
+        for part, (a, b) in enumerate(zip(cuts[:-1], cuts[1:])):
+            monkeypatch.setattr(suffix_dedup, "TaskContext", type("T", (), {"get": staticmethod(lambda part=part: type("P", (), {"partitionId": lambda self: part})())}))
+            batches = [pa.RecordBatch.from_arrays([pa.array([u[k] for u in units[i : i + 3]], pa.int64()) for k in range(7)], list(suffix_dedup.NAMES)) for i in range(a, b, 3) if i < b]
+            batches = [x.slice(0, min(x.num_rows, b - a - 3 * k)) for k, x in enumerate(batches)]
+            for x in suffix_dedup._neighbours(iter(batches)):
+                for row in x.to_pylist():
+                    (edges if row["kind"] >= suffix_dedup.FIRST else out).append(row)
+        got = sorted([(x["kind"], tuple(x[k] for k in suffix_dedup.NAMES)) for x in out] + suffix_dedup._across(edges))
+        firsts = [u for i, u in enumerate(units) if i == 0 or u[:3] != units[i - 1][:3]]
+        want = [(suffix_dedup.SETTLED, u) for u in units if u not in firsts] + [(suffix_dedup.OPEN, u) for u in firsts if sum(v[:2] == u[:2] for v in firsts) > 1]
+        assert got == sorted(want), (trial, units, cuts)
+
+
 def test_suffix_dedup_of_long_texts(spark, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "SLICE", 2000)
     data = np.frombuffer((rng_text(5, 5000) + rng_text(5, 5000)[700:3000]).encode(), np.uint8)
     runs = [suffix_dedup.cover_runs(data[lo:hi], s, 100) for lo, hi, _, s, _ in suffix_dedup.pieces(np.array([0, len(data)]), 100)]
-    assert sum(r[4].sum() for r in runs) == len(data) - 99  # each window in one run
+    assert sum(r[5].sum() for r in runs) == len(data) - 99  # each window in one run
 
 
 def test_simhash(spark):
