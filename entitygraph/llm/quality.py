@@ -144,16 +144,17 @@ def _featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for block in blocks(batch, 0):
             borders, slots, stats = features(block.column(0))
-            words = pa.ListArray.from_arrays(pa.array(borders.astype(np.int32)), pa.array(slots.astype(np.int32)))
+            words = pa.ListArray.from_arrays(pa.array(borders.astype(np.int32)), pa.array(slots.astype(np.int16)))
             rows = pa.ListArray.from_arrays(pa.array(np.arange(len(stats) + 1, dtype=np.int32) * STATISTICS), pa.array(stats.ravel()))
             yield pa.RecordBatch.from_arrays([words, rows, block.column(1)], ["slots", "stats", "y"])
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, divisor: int = 3, left_out: int = 1, label: str = "quality") -> FactorisationMachine:
-    """Fits on a bounded sample of labelled rows; what reaches the driver is their features, about a kilobyte a row. With no
+    """Fits on a bounded sample of labelled rows; what reaches the driver is their features, two bytes for each distinct hashed word of a text: 64 KB a row at the very most, usually under
+    one. Labelled rows without a text, or that repeat an id, count as they stand (the highest label of an id); with no
     labelled row the model scores one half everywhere."""
     sample = labelled_sample(docs, labels, label, divisor, left_out, most)
-    rows = sample.mapInArrow(_featured, "slots array<int>, stats array<double>, y int").toArrow()
+    rows = sample.mapInArrow(_featured, "slots array<smallint>, stats array<double>, y int").toArrow()
     model = FactorisationMachine()
     if not rows.num_rows:
         return model
@@ -164,7 +165,8 @@ def fit_quality(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS, divi
 
 
 def quality_scores(docs: DataFrame, model: FactorisationMachine) -> DataFrame:
-    """(doc_id, score): the whole text of every row, nulls as empty texts; other columns are ignored."""
+    """(doc_id, score): the whole text of every row, nulls as empty texts. Equal texts have equal scores; rows that repeat an id, or have none, are scored each; an empty table gives no rows;
+    other columns are ignored, whatever their names."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
