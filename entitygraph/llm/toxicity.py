@@ -4,7 +4,8 @@ A token is a word or the beginning of one. Its score is the log-odds ratio of th
 Dirichlet prior (the pooled counts). A word takes the score of that of its tokens that stands out most; one none of whose tokens is ``LEAST_Z`` standard errors and ``LEAST_ODDS`` from even gets the drift, a small negative score, so that random text has negative
 expectation. One linear scan finds all maximal scoring segments. Under that model the best score of n tokens follows an extreme-value law: E =
 K n exp(-lambda S) chance segments reach score S; lambda solves E[exp(lambda X)] = 1 over the other class, K is fitted on it. A text's evidence is the sum of -log E over its
-significant segments, or -log E of the best; its signed logarithm, which keeps strong texts apart, is turned into a probability by logistic calibration."""
+significant segments, or -log E of the best, turned into a probability by logistic calibration; beyond ``STRONG`` the logit grows with the logarithm of the evidence, so that strong texts
+stay apart."""
 
 from __future__ import annotations
 
@@ -22,6 +23,8 @@ from entitygraph.shared import materialise
 #: Labelled rows that scores and calibration are fitted on, at most; they bound the tokens with a score of their own and all that reaches the driver.
 TRAIN_ROWS = 16_000
 LEAST_Z, LEAST_ODDS, DRIFT, PRIOR, SIGNIFICANT = 3.0, 1.5, -0.1, 20.0, 0.05
+#: The logit up to which probabilities are the calibration's own.
+STRONG = 4.0
 #: Lengths of the word beginnings that are tokens too.
 BEGINNINGS = (5, 6, 7)
 
@@ -101,13 +104,14 @@ class ToxicityModel:
             return 0.0
         logs = [-np.log(self.expected(s[2], n)) for s in spans]
         strong = [x for x in logs if x > -np.log(SIGNIFICANT)]
-        total = sum(strong) if strong else max(logs)
-        return float(np.copysign(np.log1p(abs(total)), total))
+        return float(sum(strong) if strong else max(logs))
 
     def probability(self, evidence: np.ndarray) -> np.ndarray:
         if self.base == -np.inf:  # no labels
             return np.zeros(len(evidence))
-        return 1 / (1 + np.exp(-np.clip(self.slope * evidence + self.base, -700, 700)))
+        logit = self.slope * evidence + self.base
+        logit = np.where(np.abs(logit) > STRONG, np.copysign(STRONG + np.log1p(np.maximum(np.abs(logit) - STRONG, 0)), logit), logit)
+        return 1 / (1 + np.exp(-logit))
 
 
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
