@@ -687,7 +687,7 @@ def _over_all(f):
     return build
 
 
-_ON_DEFAULT = ("p0_references", "p6_", "p7_", "p8_", *(f"k{i}_" for i in range(1, 9)), "m2_", "m3_", "m4_", "m5_", "m7_", *(f"c{i}_" for i in range(1, 17)), "b1_", "b2_", *(f"e{i}_" for i in range(1, 6)), "e15_", "w12_two_phase", "w12_above_mu", "w12_strict_bounds")
+_ON_DEFAULT = ("p0_references", "p6_", "p7_", "p8_", *(f"k{i}_" for i in range(1, 9)), "m2_", "m3_", "m4_", "m5_", "m7_", *(f"c{i}_" for i in range(1, 17) if i != 10), "b1_", "b2_", *(f"e{i}_" for i in range(1, 6)), "e15_", "w12_two_phase", "w12_above_mu", "w12_strict_bounds")
 _OTHER = ("p0_references_mixed", "p0_references_business", "c13_link_index")  # samples of their own
 
 
