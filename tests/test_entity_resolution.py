@@ -138,13 +138,14 @@ def test_copurchase_graph_is_whole(spark):
         for p in o if len(o) > 1 else ():
             x, y = sorted((root(p), root(min(o))))
             parent[y] = x
-    got = {r["record_id"]: r["component_id"] for r in QUERIES["w9_copurchase_whole"](spark, sf).collect()}
+    got = {r["record_id"]: r["component_id"] for r in QUERIES["w9_copurchase_components"](spark, sf).collect()}
     assert got == {p: root(p) for p in parent}
 
 
 def test_operators_take_all_references(spark):
-    from entitygraph.plans.catalogue import QUERIES
+    from entitygraph.plans import queries
 
+    QUERIES = {**queries.QUERIES, **queries.LATE_QUERIES}
     sf = "/root/testdata/sf0.01"
     copies = sum(1 + 7919 * r[0] % 5 for r in spark.read.parquet(f"{sf}/customer.parquet").select("c_custkey").collect())
     assert copies > 1000 and QUERIES["p0_references_whole"](spark, sf).distinct().count() == copies
