@@ -8,10 +8,10 @@ from dataclasses import dataclass
 from itertools import count
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from entitygraph.operators.modularity import contract, degrees, modularity, move_gain
+from entitygraph.operators.modularity import contract, move_gain
 from entitygraph.shared import discard, materialise
 
 
@@ -153,67 +153,110 @@ def refine_local(edges: DataFrame, cfg: RefineConfig = RefineConfig(), all_level
 
 def refine_distributed(edges: DataFrame, cfg: RefineConfig = RefineConfig(), whole: float | None = None) -> DataFrame:
     """The same search with nodes moving in parallel: in each pass the nodes of one hash parity move, of two communities that would swap
-    only toward the lesser, and a pass that lowers a component's modularity is taken back. component_id, record_id, community, level, m."""
-    if not cfg.weighted:
-        edges = edges.withColumn("w", F.lit(1.0))
-    graph = materialise(edges, "graph")
-    names = materialise(degrees(graph).select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
-    best = _quality(graph, names, cfg, whole)
-    level = 0
+    only toward the lesser, and a pass that doesn't raise a component's modularity is taken back. component_id, record_id, community, level, m.
+
+    Nodes carry their degree and their graph's weight, and one table of links from nodes to communities gives both the modularity of a partition and the
+    gains of the next moves; nothing of an edge's size is joined by the component alone. Components that a level doesn't improve leave the search.
+    Components without weight are left out; an empty table gives no rows."""
+    weight = F.col("w").cast("double") if cfg.weighted else F.lit(1.0)
+    graph = materialise(edges.select("component_id", "u", "v", weight.alias("w")), "graph")
+    total = F.sum("w") if whole is None else F.lit(float(whole))
+    totals = materialise(graph.groupBy("component_id").agg(total.alias("total")).where("total > 0"), "totals")
+    state, links, score = _single_nodes(graph, totals, cfg)
+    names, best, level = state.select("component_id", "record_id", "community"), score, 0
     for _ in count() if cfg.max_levels is None else range(cfg.max_levels):
-        nodes = materialise(degrees(graph), "nodes")
-        assign = materialise(nodes.select("component_id", "record_id", F.col("record_id").alias("community")), "assign")
-        score, idle = _quality(graph, assign, cfg, whole), 0
-        for step in count() if cfg.max_passes is None else range(cfg.max_passes):
-            moved = materialise(_one_pass(graph, nodes, assign, cfg, step, whole), "assign")
-            new = _quality(graph, moved, cfg, whole)
-            worse = new.select("component_id", F.col("m").alias("new")).join(score.select("component_id", "m"), "component_id").where("new <= m + 1e-9").select("component_id", F.lit(True).alias("worse"))
-            kept = (
-                moved.join(assign.withColumnRenamed("community", "old"), ["component_id", "record_id"])
-                .join(worse, "component_id", "left")
-                .select("component_id", "record_id", F.when(F.col("worse"), F.col("old")).otherwise(F.col("community")).alias("community"), (F.col("worse").isNull()).alias("gained"))
-            )
-            kept = materialise(kept, "assign")
-            idle = 0 if kept.where("gained").limit(1).count() else idle + 1
-            assign = kept.select("component_id", "record_id", "community")
-            after = score.select("component_id", F.col("m").alias("old")).join(new, "component_id", "left")
-            score = materialise(after.select("component_id", F.when(F.col("m") > F.col("old") + 1e-9, F.col("m")).otherwise(F.col("old")).alias("m")), "quality")
-            discard(moved)
-            if idle == 2:
-                break
-        least = assign.groupBy("component_id", "community").agg(F.min("record_id").alias("least"))
-        assign = materialise(assign.join(least, ["component_id", "community"]).select("component_id", "record_id", F.col("least").alias("community")), "assign")
-        gained = score.select("component_id", F.col("m").alias("new")).join(best, "component_id").where("new > m + 1e-9")
+        state, score = _passes(graph, state, links, score, cfg)
+        gained = score.join(best.withColumnRenamed("m", "before"), "component_id").where("m > before + 1e-9").select("component_id", "m")
+        gained = materialise(gained, "gained")
         if gained.limit(1).count() == 0:
             break
         level += 1
-        best = score
-        step_of = assign.select("component_id", F.col("record_id").alias("community"), F.col("community").alias("to"))
-        names = materialise(names.join(step_of, ["component_id", "community"]).select("component_id", "record_id", F.col("to").alias("community")), "assign")
-        graph = materialise(contract(graph, assign), "graph")
+        least = state.groupBy("component_id", "community").agg(F.min("record_id").alias("least"))
+        merged = state.join(gained.select("component_id"), "component_id", "left_semi").join(least, ["component_id", "community"])
+        merged = materialise(merged.select("component_id", "record_id", F.col("least").alias("community")), "merged")
+        step_of = merged.select("component_id", F.col("record_id").alias("community"), F.col("community").alias("to"))
+        names = names.join(step_of, ["component_id", "community"], "left").select("component_id", "record_id", F.coalesce("to", "community").alias("community"))
+        names = materialise(names, "names")
+        best = materialise(best.join(gained.withColumnRenamed("m", "after"), "component_id", "left").select("component_id", F.coalesce("after", "m").alias("m")), "quality")
+        before, graph = graph, materialise(contract(graph, merged), "graph")
+        discard(before)
+        state, links, score = _single_nodes(graph, totals, cfg)
     return names.join(best, "component_id").select("component_id", "record_id", "community", F.lit(level).alias("level"), "m")
 
 
-def _quality(graph: DataFrame, assign: DataFrame, cfg: RefineConfig, whole: float | None) -> DataFrame:
-    return materialise(modularity(graph, assign, resolution=cfg.resolution, total=whole), "quality")
+def _single_nodes(graph: DataFrame, totals: DataFrame, cfg: RefineConfig) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """State (component_id, record_id, community, k, loop, total), links and modularity of the partition into single nodes."""
+    loop = F.when(F.col("u") == F.col("v"), F.col("w")).otherwise(0.0)
+    end = lambda x: F.struct(F.col(x).alias("record_id"), (loop / 2).alias("loop"))
+    ends = graph.select("component_id", "w", F.explode(F.array(end("u"), end("v"))).alias("e"))
+    nodes = ends.groupBy("component_id", F.col("e.record_id").alias("record_id")).agg(F.sum("w").alias("k"), F.sum("e.loop").alias("loop"))
+    state = nodes.join(totals, "component_id").select("component_id", "record_id", F.col("record_id").alias("community"), "k", "loop", "total")
+    state = materialise(state, "state")
+    links = materialise(_links(graph, state), "links")
+    return state, links, materialise(_quality(state, links, cfg), "quality")
 
 
-def _one_pass(graph: DataFrame, nodes: DataFrame, assign: DataFrame, cfg: RefineConfig, step: int, whole: float | None) -> DataFrame:
-    key = ["component_id", "record_id"]
-    total = graph.groupBy("component_id").agg((F.sum("w") if whole is None else F.lit(float(whole))).alias("total"))
-    own = nodes.join(assign, key)
-    degree = own.groupBy("component_id", "community").agg(F.sum("k").alias("d"))
+def _passes(graph: DataFrame, state: DataFrame, links: DataFrame, score: DataFrame, cfg: RefineConfig) -> tuple[DataFrame, DataFrame]:
+    """State and modularity after passes over one level, until neither parity gains."""
+    first, idle = state, 0
+    for step in count() if cfg.max_passes is None else range(cfg.max_passes):
+        moved = materialise(_one_pass(state, links, cfg, step), "state")
+        moved_links = materialise(_links(graph, moved), "links")
+        new = _quality(moved, moved_links, cfg).withColumnRenamed("m", "new")
+        better = F.coalesce(F.col("new") > F.col("m") + 1e-9, F.lit(False))
+        judged = score.join(new, "component_id", "left").select("component_id", F.when(better, F.col("new")).otherwise(F.col("m")).alias("m"), better.alias("better"))
+        judged = materialise(judged, "quality")
+        n = judged.agg(F.count("*").alias("all"), F.count_if("better").alias("better")).first()
+        idle = 0 if n["better"] else idle + 1
+        spent = []
+        if n["better"] == n["all"] > 0:
+            spent, state, links = [state, links], moved, moved_links
+        elif n["better"] == 0:
+            spent = [moved, moved_links]
+        else:
+            up = judged.where("better").select("component_id")
+            pick = lambda new, old: materialise(new.join(up, "component_id", "left_semi").unionByName(old.join(up, "component_id", "left_anti")), "state")  # noqa: B023, E731
+            spent = [state, links, moved, moved_links]
+            state, links = pick(moved, state), pick(moved_links, links)
+        score = judged.select("component_id", "m")
+        for df in spent:
+            if df is not first:  # the level's names are read from it
+                discard(df)
+        if idle == 2:
+            break
+    return state, score
+
+
+def _links(graph: DataFrame, state: DataFrame) -> DataFrame:
+    """component_id, record_id, community, k, total, to, k_to: the weight from each node to each community next to it, its own too; loops apart."""
     cross = graph.where("u != v")
     ends = cross.select("component_id", F.col("u").alias("record_id"), F.col("v").alias("n"), "w").union(cross.select("component_id", F.col("v").alias("record_id"), F.col("u").alias("n"), "w"))
-    near = assign.select("component_id", F.col("record_id").alias("n"), F.col("community").alias("to"))
-    links = ends.join(near, ["component_id", "n"]).groupBy("component_id", "record_id", "to").agg(F.sum("w").alias("k_to"))
-    state = own.join(degree, ["component_id", "community"]).join(links.select(*key, F.col("to").alias("community"), F.col("k_to").alias("k_own")), [*key, "community"], "left")
-    state = state.join(total, "component_id").select(*key, "community", "k", "total", (F.col("d") - F.col("k")).alias("d_own"), F.coalesce("k_own", F.lit(0.0)).alias("k_own"))
+    there = state.select("component_id", F.col("record_id").alias("n"), F.col("community").alias("to"))
+    own = state.select("component_id", "record_id", "community", "k", "total")
+    placed = ends.join(there, ["component_id", "n"]).join(own, ["component_id", "record_id"])
+    return placed.groupBy("component_id", "record_id", "community", "k", "total", "to").agg(F.sum("w").alias("k_to"))
+
+
+def _quality(state: DataFrame, links: DataFrame, cfg: RefineConfig) -> DataFrame:
+    """component_id, m, from sums that nodes and links hold already."""
+    expected = F.lit(cfg.resolution) * F.pow(F.sum("k") / (2 * F.max("total")), 2)
+    per = state.groupBy("component_id", "community").agg((F.sum("loop") / F.max("total") - expected).alias("share"))
+    inside = links.where("to = community").groupBy("component_id").agg((F.sum("k_to") / (2 * F.max("total"))).alias("inside"))
+    shares = per.groupBy("component_id").agg(F.sum("share").alias("share")).join(inside, "component_id", "left")
+    return shares.select("component_id", (F.col("share") + F.coalesce("inside", F.lit(0.0))).alias("m"))
+
+
+def _one_pass(state: DataFrame, links: DataFrame, cfg: RefineConfig, step: int) -> DataFrame:
+    key = ["component_id", "record_id"]
+    degree = state.groupBy("component_id", "community").agg(F.sum("k").alias("d"))
     parity = F.pmod(F.xxhash64(F.lit(cfg.seed), "record_id"), F.lit(2)) == step % 2
-    options = links.join(state.where(parity), key).where("to != community").join(degree.withColumnRenamed("community", "to").withColumnRenamed("d", "d_to"), ["component_id", "to"])
+    k_own = F.max(F.when(F.col("to") == F.col("community"), F.col("k_to"))).over(Window.partitionBy(*key))
+    options = links.where(parity).withColumn("k_own", F.coalesce(k_own, F.lit(0.0))).where("to != community")
+    options = options.join(degree, ["component_id", "community"]).withColumn("d_own", F.col("d") - F.col("k")).drop("d")
+    options = options.join(degree.select("component_id", F.col("community").alias("to"), F.col("d").alias("d_to")), ["component_id", "to"])
     gain = move_gain(*[F.col(c) for c in ("k", "k_to", "d_to", "k_own", "d_own", "total")], cfg.resolution)
-    choice = options.withColumn("gain", F.round(gain, 12)).where("gain > 0").groupBy(*key).agg(F.min_by("to", F.struct(-F.col("gain"), F.col("to"))).alias("to"))
-    wish = assign.join(choice, key).select(*key, "community", "to")
+    best = F.min_by("to", F.struct(-F.col("gain"), F.col("to"))).alias("to")
+    wish = options.withColumn("gain", F.round(gain, 12)).where("gain > 0").groupBy(*key, "community").agg(best)
     back = wish.select("component_id", F.col("community").alias("to"), F.col("to").alias("community")).distinct().withColumn("swap", F.lit(True))
     allowed = wish.join(back, ["component_id", "to", "community"], "left").where("swap is null or to < community").select(*key, "to")
-    return assign.join(allowed, key, "left").select(*key, F.coalesce("to", "community").alias("community"))
+    return state.join(allowed, key, "left").select(*key, F.coalesce("to", "community").alias("community"), "k", "loop", "total")

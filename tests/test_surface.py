@@ -75,6 +75,13 @@ def test_distributed_refinement_is_close(spark):
     assert told == pytest.approx(far[0]["m"])
 
 
+def test_distributed_refinement_leaves_out_what_has_no_weight(spark):
+    schema = "component_id string, u string, v string, w double"
+    found = refine_distributed(spark.createDataFrame([("z", "a", "b", 0.0), ("y", "p", "p", 1.0), ("y", "p", "q", 1.0)], schema)).collect()
+    assert {r["record_id"] for r in found} == {"p", "q"} and len(found) == 2
+    assert refine_distributed(spark.createDataFrame([], schema)).collect() == []
+
+
 def test_graph_alone_in_parts_is_the_whole_graph(spark):
     """Parts searched by themselves with the whole weight give a partition as good as one search over all."""
     edges = [("a", "b", 0.9), ("b", "c", 0.8), ("a", "c", 0.7), ("c", "d", 0.2), ("d", "e", 0.9), ("p", "q", 0.6), ("q", "r", 0.9), ("x", "y", 0.5)]
