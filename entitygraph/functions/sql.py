@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from decimal import ROUND_HALF_UP, Decimal
 
 import pandas as pd
 from pyspark.sql import SparkSession
@@ -34,6 +35,11 @@ def edit_distance(a: str, b: str) -> int:
     return row[-1]
 
 
+def rounded(x: float, places: int) -> float:
+    """Half up on the shortest decimal form, as Spark's ``round`` does; Python's own goes by the binary value."""
+    return float(Decimal(repr(x)).quantize(Decimal(1).scaleb(-places), ROUND_HALF_UP))
+
+
 @F.pandas_udf(DoubleType())
 def scoring_matrix_py(a: pd.Series, b: pd.Series) -> pd.Series:
     """The scoring matrix over Arrow batches: the contrast to the built-in form, which needs no Python."""
@@ -50,7 +56,8 @@ def scoring_matrix_py(a: pd.Series, b: pd.Series) -> pd.Series:
         return total
 
     known: dict[tuple[str, str], float] = {}
-    return pd.Series([round((best(x, y, known) + best(y, x, known)) / (len(x) + len(y)), 6) if len(x) and len(y) else 0.0 for x, y in zip(a, b, strict=True)], dtype="float64")
+    # twice, as the built-in form does
+    return pd.Series([rounded(rounded((best(x, y, known) + best(y, x, known)) / (len(x) + len(y)), 9), 6) if len(x) and len(y) else 0.0 for x, y in zip(a, b, strict=True)], dtype="float64")
 
 
 @F.pandas_udf(DoubleType())
