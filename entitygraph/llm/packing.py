@@ -15,7 +15,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entitygraph.llm.tokens import WORD_BLOCK, blocks, encoder, vocabulary
+from entitygraph.llm.tokens import WORD_BLOCK, blocks, encoder, forget_encoders, vocabulary
 from entitygraph.shared import materialise
 
 HASHED, DIMS, LEVELS = 256, 4, 10
@@ -85,6 +85,7 @@ def _tokenised(path: str, end_id: int):
 
 def _pack(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_encoders()
         base, number, filled = TaskContext.get().partitionId() << 32, 0, 0
         open_pieces: list[tuple] = []  # of the sequence that is not full: doc_id, start, ids, doc_tokens
 
