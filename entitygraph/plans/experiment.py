@@ -1,25 +1,26 @@
 """The experiment grid as one plan: all runs of all samples go through each step together, told apart by the name of their run.
 
 Ids and tokens carry the run's name (``run|id``), so that the operators of a single run serve any number of them: frequencies are counted, blocks are made and
-components are closed within a run, and no step needs to know how many there are. Candidate pairs of the first round are scored once a sample and shared by all thresholds;
-in later rounds of the baseline each distinct pair of token lists is scored once."""
+components are closed within a run, and no step needs to know how many there are. Candidate pairs of the first round are scored once a sample and shared by all thresholds.
+The baseline's runs of one sample and mu go through their rounds in one task (``operators.iterated``); by other measures than the scoring matrix's all runs take each round as joins together."""
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from entitygraph.operators import blocking, matching, parsing
+from entitygraph.operators import blocking, iterated, matching, parsing
 from entitygraph.operators.entropy import entropy_quality
 from entitygraph.operators.evaluation import metrics_of
 from entitygraph.operators.hierarchical import accept_or_collapse, refine, rename_to_least
 from entitygraph.operators.modularity import component_edges
 from entitygraph.plans.pipeline import ResolveConfig
 from entitygraph.shared import materialise
-from entitygraph.sources.fixtures import SAMPLES, references
+from entitygraph.sources.fixtures import SAMPLES, Sample, references
 
 TENTHS = tuple(k / 10 for k in range(1, 10))
 
@@ -41,9 +42,21 @@ def plain_of(name: str) -> Column:
 
 
 def sample_records(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> DataFrame:
-    """run (the sample's name), record_id (named by it), truth_id, body of the samples; each has the rows that the tables give."""
-    parts = [references(spark, sf_dir, n).select(F.lit(n).alias("run"), "record_id", "truth_id", "body") for n in names or SAMPLES]
-    return materialise(reduce(DataFrame.unionByName, parts).withColumn("record_id", _named(F.col("run"), F.col("record_id"))), "samples")
+    """run (the sample's name), record_id (named by it), truth_id, body of the samples; each has the rows that the tables give.
+
+    Samples that differ in their number of rows alone are the first rows of the largest of them, which is made once."""
+    alike: dict[Sample, list[Sample]] = {}
+    for s in (SAMPLES[n] for n in names or SAMPLES):
+        alike.setdefault(replace(s, name="", rows=None), []).append(s)
+    parts, cuts = [], []
+    for k, group in enumerate(alike.values()):
+        largest = max(group, key=lambda s: s.rows)
+        parts.append(references(spark, sf_dir, largest).select(F.lit(k).alias("kind"), "record_id", "truth_id", "body"))
+        cuts += [(k, s.name, s.rows) for s in group]
+    made = materialise(reduce(DataFrame.unionByName, parts), "made")
+    ranked = made.withColumn("r", F.row_number().over(Window.partitionBy("kind").orderBy("record_id")))
+    each = ranked.join(F.broadcast(spark.createDataFrame(cuts, "kind int, run string, rows int")), "kind").where("r <= rows")
+    return materialise(each.select("run", _named(F.col("run"), F.col("record_id")).alias("record_id"), "truth_id", "body"), "samples")
 
 
 def score_runs(records: DataFrame, cfg: ResolveConfig) -> DataFrame:
@@ -129,8 +142,8 @@ def graph_only_runs(scored: DataFrame, records: DataFrame, mus: tuple = TENTHS,
     return _singletons(rename_to_least(found.unionByName(pairs)), _in_runs(records.select("record_id"), _grid(spark, mu=mus), "record_id"))
 
 
-def baseline_runs(scored: DataFrame, records: DataFrame, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), step: float = 0.1) -> tuple[DataFrame, DataFrame]:
-    """(cluster_id, record_id; run, rounds, comparisons, cells) of the entropy-iterated baseline, a run for each sample, mu and epsilon.
+def baseline_rounds(scored: DataFrame, records: DataFrame, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), step: float = 0.1) -> tuple[DataFrame, DataFrame]:
+    """(cluster_id, record_id; run, rounds, comparisons, cells) of the entropy-iterated baseline, a run for each sample, mu and epsilon, by any measure.
 
     All runs take their n-th round together: clusters of enough quality are emitted, the records of the others start again at a higher mu, until mu is one or none is left."""
     spark = records.sparkSession
@@ -169,6 +182,49 @@ def baseline_runs(scored: DataFrame, records: DataFrame, mus: tuple = TENTHS, ep
     return reduce(DataFrame.unionByName, done), materialise(total, "costs")
 
 
+def _searched(records: DataFrame, mus: tuple, epsilons: tuple, cfg: ResolveConfig, step: float, row, schema: str) -> DataFrame:
+    """What ``row(run, ids, truth, clusters, rounds, comparisons, cells)`` makes of each run of the baseline; the runs of a sample and a mu are a task's."""
+
+    def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        sample, mu = key
+        rows = rows.sort_values("record_id", ignore_index=True)
+        found = iterated.Sample(list(rows.body), cfg.beta, cfg.sigma, cfg.bounds, cfg.measure, cfg.max_tokens)
+        truth = pd.factorize(rows.truth_id, use_na_sentinel=False)[0]
+        ids = rows.record_id.str.rpartition("|")[2].to_numpy(object)
+        runs = [row(f"{sample};{mu};{epsilon}", ids, truth, *rest) for epsilon, *rest in found.runs(mu, [float(e) for e in epsilons], step)]
+        return pd.concat(runs, ignore_index=True)
+
+    each = records.select(run_of("record_id").alias("run"), "record_id", "truth_id", "body").crossJoin(F.broadcast(_grid(records.sparkSession, mu=mus)))
+    return each.repartition(len(mus) * len(SAMPLES), "run", "mu").groupBy("run", "mu").applyInPandas(run, schema)
+
+
+def baseline_runs(scored: DataFrame, records: DataFrame, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), step: float = 0.1) -> tuple[DataFrame, DataFrame]:
+    """(cluster_id, record_id; run, rounds, comparisons, cells) of the entropy-iterated baseline, a run for each sample, mu and epsilon. scored is read by measures only that the search doesn't know."""
+    if cfg.measure not in iterated.MEASURES:
+        return baseline_rounds(scored, records, mus, epsilons, cfg, step)
+
+    def row(run, ids, truth, clusters, rounds, comparisons, cells) -> pd.DataFrame:
+        names = run + "|" + ids
+        return pd.DataFrame({"cluster_id": names[clusters], "record_id": names, "run": run, "rounds": rounds, "comparisons": comparisons, "cells": cells})
+
+    every = materialise(_searched(records, mus, epsilons, cfg, step, row, "cluster_id string, record_id string, run string, rounds long, comparisons long, cells long"), "baseline")
+    return every.select("cluster_id", "record_id"), every.select("run", "rounds", "comparisons", "cells").distinct()
+
+
+def baseline_measures(records: DataFrame, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), step: float = 0.1) -> DataFrame:
+    """The columns of ``measures_by_run`` and rounds, comparisons, cells of each run of the baseline; pairs are counted where its clusters are found."""
+
+    def row(run, ids, truth, clusters, rounds, comparisons, cells) -> pd.DataFrame:
+        both, found, true = iterated.pair_counts(clusters, truth)
+        return pd.DataFrame({"run": [run], "tp": both, "p": found, "t": true, "n_rows": len(ids), "rounds": rounds, "comparisons": comparisons, "cells": cells})
+
+    counts = materialise(_searched(records, mus, epsilons, cfg, step, row, "run string, tp long, p long, t long, n_rows long, rounds long, comparisons long, cells long"), "baseline")
+    num = lambda c: F.expr(c).cast("decimal(38,0)")
+    return metrics_of(
+        counts.select("run", num("tp").alias("tp"), num("p - tp").alias("fp"), num("t - tp").alias("fn"), num("n_rows * (n_rows - 1) div 2 - p - t + tp").alias("tn"), "n_rows", "rounds", "comparisons", "cells")
+    )
+
+
 def measures_by_run(clusters: DataFrame, records: DataFrame) -> DataFrame:
     """run, tp, fp, fn, tn, precision, recall, f1, bal_acc of each run's clusters against its sample's truth, by group sizes."""
     truth = records.select(F.col("record_id").alias("own"), "truth_id")
@@ -185,25 +241,30 @@ def measures_by_run(clusters: DataFrame, records: DataFrame) -> DataFrame:
     return metrics_of(one)
 
 
-def run_log(spark: SparkSession, sf_dir: str, names: list[str] | None = None, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), algos: tuple = ("two_step", "entropy_iterated")) -> DataFrame:
+def run_log(spark: SparkSession, sf_dir: str, names: list[str] | None = None, mus: tuple = TENTHS, epsilons: tuple = TENTHS, cfg: ResolveConfig = ResolveConfig(), algos: tuple = ("two_step", "entropy_iterated"), records: DataFrame | None = None) -> DataFrame:
     """sample, quality, layout, n_rows, algo, mu, epsilon, the counts and measures, rounds, comparisons and matrix cells of every run. Times are not here: a run has none of its own
     where all go together (see ``pipeline.sweep`` and the bench)."""
-    records = sample_records(spark, sf_dir, names)
-    scored = score_runs(records.select("record_id", "body"), cfg)
-    per = materialise(scored.groupBy(run_of("a").alias("sample")).agg(F.count("*").alias("comparisons"), F.sum("cells").alias("cells")), "costs")
+    records = sample_records(spark, sf_dir, names) if records is None else records
+    searched = cfg.measure in iterated.MEASURES
+    if not searched or any(a != "entropy_iterated" for a in algos):
+        scored = score_runs(records.select("record_id", "body"), cfg)
+        per = materialise(scored.groupBy(run_of("a").alias("sample")).agg(F.count("*").alias("comparisons"), F.sum("cells").alias("cells")), "costs")
     about = spark.createDataFrame([(s.name, s.quality, s.layout) for s in SAMPLES.values()], "sample string, quality string, layout string")
     single = {"two_step": two_step_runs, "graph_only": graph_only_runs, "closure": lambda s, r, m, c: closure_runs(s, r, m)}
     logs = []
     for algo in algos:
-        if algo == "entropy_iterated":
-            clusters, costs = baseline_runs(scored, records, mus, epsilons, cfg)
+        if algo == "entropy_iterated" and searched:
+            found = baseline_measures(records, mus, epsilons, cfg)
+        elif algo == "entropy_iterated":
+            clusters, costs = baseline_rounds(scored, records, mus, epsilons, cfg)
+            found = measures_by_run(clusters, records).join(costs, "run")
         else:
-            clusters, costs = single[algo](scored, records, mus, cfg), None
-        found = measures_by_run(clusters, records).withColumn("sample", F.split("run", ";")[0]).withColumn("mu", F.split("run", ";")[1].cast("double"))
-        if costs is None:
+            found = measures_by_run(single[algo](scored, records, mus, cfg), records)
+        found = found.withColumn("sample", F.split("run", ";")[0]).withColumn("mu", F.split("run", ";")[1].cast("double"))
+        if algo != "entropy_iterated":
             found = found.withColumn("epsilon", F.lit(None).cast("double")).withColumn("rounds", F.lit(1).cast("long")).join(per, "sample", "left")
         else:
-            found = found.withColumn("epsilon", F.split("run", ";")[2].cast("double")).join(costs, "run")
+            found = found.withColumn("epsilon", F.split("run", ";")[2].cast("double"))
         logs.append(found.withColumn("algo", F.lit(algo)))
     log = reduce(lambda a, b: a.unionByName(b), logs).join(F.broadcast(about), "sample")
     return materialise(
